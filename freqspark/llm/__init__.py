@@ -6,15 +6,17 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, secrets, wordpiece
+from . import bpe, quality, secrets, toxicity, wordpiece
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     """Each operator over its whole table, with production parameters."""
     return {
+        "op1_quality_classifier": quality.query,
         "op6_secret_scans": secrets.query,
         "op7_token_counts": wordpiece.query,
         "op8_byte_bpe": bpe.query,
+        "op10_toxicity": toxicity.query,
     }
 
 

@@ -70,3 +70,59 @@ def mix(x: np.ndarray) -> np.ndarray:
     x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
     x = (x ^ (x >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
     return x ^ (x >> np.uint64(31))
+
+
+#: Fixed odd multiplier of the running hash, and its inverse modulo 2**64.
+_P = 0x9E3779B97F4A7C15
+_P_INV = pow(_P, -1, 1 << 64)
+_POWERS: dict[int, np.ndarray] = {}
+#: A 64-bit value for each byte.
+_BYTE_VALUES = mix(np.arange(1, 257, dtype=np.uint64) * np.uint64(_P))
+
+
+def _powers(base: int, n: int) -> np.ndarray:
+    if base not in _POWERS or len(_POWERS[base]) < n:
+        steps = np.full(max(n, BLOCK_BYTES + 1), base, np.uint64)
+        steps[0] = 1
+        _POWERS[base] = np.cumprod(steps)
+    return _POWERS[base][:n]
+
+
+def span_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """A 64-bit hash of the bytes of each span, equal for equal bytes wherever they stand."""
+    run = np.zeros(len(data) + 1, np.uint64)
+    np.cumsum(_BYTE_VALUES[data] * _powers(_P, len(data)), out=run[1:])
+    back = _powers(_P_INV, len(data) + 1)
+    return mix((run[ends] - run[starts]) * back[starts] + (ends - starts).astype(np.uint64))
+
+
+def spans(inside: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Runs of True that do not reach over a row's end: starts, ends, rows."""
+    n = len(inside)
+    if not n:
+        none = np.zeros(0, np.int64)
+        return none, none, none
+    first = np.zeros(n + 1, bool)
+    first[at] = True
+    begins = inside.copy()
+    begins[1:] &= ~inside[:-1] | first[1:n]
+    closes = inside.copy()
+    closes[:-1] &= ~inside[1:] | first[1:n]
+    starts, ends = np.flatnonzero(begins), np.flatnonzero(closes) + 1
+    return starts, ends, np.searchsorted(at, starts, "right") - 1
+
+
+def cut(df: DataFrame) -> DataFrame:
+    """The same rows from the shared checkpoint folder, with their lineage cut.
+
+    The folder is the one that the session names in spark.checkpoint.dir; one of our own is set only
+    where none is, as in tests.
+    """
+    context = df.sparkSession.sparkContext
+    if context.getCheckpointDir() is None:
+        if not (shared := df.sparkSession.conf.get("spark.checkpoint.dir", None)):
+            import tempfile
+
+            shared = tempfile.mkdtemp(prefix="checkpoints-")
+        context.setCheckpointDir(shared)
+    return df.checkpoint(True)
