@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, decontaminate, quality, secrets, topk, toxicity, warc, wordpiece
+from . import bpe, decontaminate, ngram_join, quality, secrets, topk, toxicity, warc, wordpiece
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
@@ -15,6 +15,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op1_quality_classifier": quality.query,
         "op3_benchmark_decontamination": decontaminate.query,
         "op4_warc_derivatives": warc.query,
+        "op5_ngram_jaccard_join": ngram_join.query,
         "op6_secret_scans": secrets.query,
         "op7_token_counts": wordpiece.query,
         "op8_byte_bpe": bpe.query,
@@ -27,5 +28,6 @@ def oracle_sql() -> dict[str, str]:
     """SQL for the operators that SQL can express."""
     return {
         "op3_benchmark_decontamination": decontaminate.SQL,
+        "op5_ngram_jaccard_join": ngram_join.SQL,
         "op9_exact_top_k": topk.SQL,
     }
