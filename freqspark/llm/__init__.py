@@ -6,13 +6,14 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, decontaminate, ngram_join, quality, secrets, topk, toxicity, warc, wordpiece
+from . import bpe, decontaminate, line_dedup, ngram_join, quality, secrets, topk, toxicity, warc, wordpiece
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     """Each operator over its whole table, with production parameters."""
     return {
         "op1_quality_classifier": quality.query,
+        "op2_line_dedup": line_dedup.query,
         "op3_benchmark_decontamination": decontaminate.query,
         "op4_warc_derivatives": warc.query,
         "op5_ngram_jaccard_join": ngram_join.query,
