@@ -61,8 +61,8 @@ def count_trigrams(docs: DataFrame, text: str = "text") -> DataFrame:
 def language_model(counts: DataFrame) -> np.ndarray:
     """-log P(symbol | two before it) as a cube, backing off to fewer symbols; there are SYMBOLS**3 counts at most."""
     cube = np.zeros(SYMBOLS**3)
-    for row in counts.collect():
-        cube[row["code"]] = row["n"]
+    got = counts.toPandas()
+    cube[got["code"].to_numpy()] = got["n"].to_numpy()
     cube = cube.reshape(SYMBOLS, SYMBOLS, SYMBOLS)
     one = (cube.sum((0, 1)) + 0.5) / (cube.sum() + 0.5 * SYMBOLS)
     pair = cube.sum(0)
@@ -263,26 +263,26 @@ def _count_windows(sample: DataFrame, costs: np.ndarray, among: np.ndarray | Non
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         restorer = Restorer(costs)
         wanted = None if among is None else np.unpackbits(among).astype(bool)
+        found = []
         for batch in batches:
             parts = batch.column(1).to_numpy(zero_copy_only=False)
-            found = []
             for lo, hi, data, at in restored_blocks(text_column(batch.column(0)), restorer):
                 for slots, inside, starts in windows(data, at):
                     where = np.flatnonzero(inside if wanted is None else inside & wanted[slots])
                     rows = (np.searchsorted(starts, where, "right") - 1).clip(0, hi - lo - 1)
                     own = np.unique(rows << BITS | slots[where])
                     found.append((own & ((1 << BITS) - 1)) << 2 | parts[lo + (own >> BITS)])
-            if found:
-                code, n = np.unique(np.concatenate(found), return_counts=True)
-                yield pa.RecordBatch.from_arrays([pa.array((code >> 2).astype(np.int32)), pa.array((code & 3).astype(np.int32)), pa.array(n.astype(np.int64))], ["slot", "part", "n"])
+        if found:
+            code, n = np.unique(np.concatenate(found), return_counts=True)
+            yield pa.RecordBatch.from_arrays([pa.array((code >> 2).astype(np.int32)), pa.array((code & 3).astype(np.int32)), pa.array(n.astype(np.int64))], ["slot", "part", "n"])
 
     return sample.select("doc_text", "part").mapInArrow(run, schema).groupBy("slot", "part").agg(F.sum("n").alias("n"))
 
 
-def _weights(toxic: np.ndarray, other: np.ndarray, n_toxic: int, n_other: int) -> np.ndarray:
-    """Log ratios of the shares of documents, each count moved towards the other by half its standard error."""
-    w = np.log((toxic - np.sqrt(toxic) / 2 + 0.5) / (n_toxic + 1)) - np.log((other + np.sqrt(other) / 2 + 0.5) / (n_other + 1))
-    return np.where((toxic >= max(LEAST_DOCUMENTS, LEAST_SHARE * n_toxic)) & (w > STRONG), w, 0).astype(np.float32)
+def _weight(toxic: F.Column, other: F.Column, n_toxic: int, n_other: int) -> F.Column:
+    """Log ratio of the shares of documents, each count moved towards the other by half its standard error; 0 if weak."""
+    w = F.log((toxic - F.sqrt(toxic) / 2 + 0.5) / (n_toxic + 1)) - F.log((other + F.sqrt(other) / 2 + 0.5) / (n_other + 1))
+    return F.when((toxic >= max(LEAST_DOCUMENTS, LEAST_SHARE * n_toxic)) & (w > STRONG), w).otherwise(0.0)
 
 
 def _logistic(x: np.ndarray, y: np.ndarray, ridge: float = 1.0) -> np.ndarray:
@@ -330,20 +330,18 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", folds: int = 5
     empty = ToxicityModel(costs, np.zeros(0, np.int64), np.zeros(0, np.float32), np.array([np.log(share / (1 - share)), 0, 0, 0, 0]))
     if not toxic.sum() or not other.sum():
         return empty
-    wanted = _count_windows(sample.where("y = 1"), costs, None).groupBy("slot").agg(F.sum("n").alias("n")).where(F.col("n") >= LEAST_DOCUMENTS).select("slot").toPandas()["slot"].to_numpy(np.int64)
-    if not len(wanted):
-        return empty
-    wanted.sort()
+    least = max(LEAST_DOCUMENTS, LEAST_SHARE * toxic.sum() / 2)
+    wanted = _count_windows(sample.where("y = 1"), costs, None).groupBy("slot").agg(F.sum("n").alias("n")).where(F.col("n") >= least).select("slot").toPandas()["slot"].to_numpy()
     bitmap = np.zeros(1 << BITS, bool)
     bitmap[wanted] = True
-    counts = np.zeros((4, 1 << BITS), np.int32)
-    got = _count_windows(sample, costs, np.packbits(bitmap)).toPandas()
-    counts[got["part"].to_numpy(), got["slot"].to_numpy()] = got["n"].to_numpy()
-    counts = counts[:, wanted]
-    halves = [_weights(counts[2 + h], counts[h], toxic[h], other[h]) for h in (0, 1)]
-    x, y = _evidence_of(sample, costs, [(wanted[h > 0], h[h > 0]) for h in halves])
-    weights = _weights(counts[2] + counts[3], counts[0] + counts[1], toxic.sum(), other.sum())
-    return ToxicityModel(costs, wanted[weights > 0], weights[weights > 0], _logistic(x, y))
+    each = _count_windows(sample, costs, np.packbits(bitmap)).groupBy("slot").agg(*(F.sum(F.when(F.col("part") == p, F.col("n")).otherwise(0)).cast("double").alias(f"p{p}") for p in range(4)))
+    halves = [_weight(F.col(f"p{2 + h}"), F.col(f"p{h}"), int(toxic[h]), int(other[h])) for h in (0, 1)]
+    whole = _weight(F.col("p2") + F.col("p3"), F.col("p0") + F.col("p1"), int(toxic.sum()), int(other.sum()))
+    strong = each.select("slot", whole.alias("w"), halves[0].alias("w0"), halves[1].alias("w1")).where("w > 0 or w0 > 0 or w1 > 0").toPandas().sort_values("slot")
+    slots = strong["slot"].to_numpy(np.int64)
+    w, *of_halves = (strong[c].to_numpy(np.float32) for c in ("w", "w0", "w1"))
+    x, y = _evidence_of(sample, costs, [(slots[h > 0], h[h > 0]) for h in of_halves])
+    return ToxicityModel(costs, slots[w > 0], w[w > 0], _logistic(x, y))
 
 
 def _evidence_of(sample: DataFrame, costs: np.ndarray, halves: list[tuple[np.ndarray, np.ndarray]]) -> tuple[np.ndarray, np.ndarray]:
