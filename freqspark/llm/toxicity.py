@@ -173,6 +173,8 @@ class Restorer:
 WINDOWS, BITS = (5, 7), 22
 #: A window must be in so many toxic training documents, in this share of them, and have this log ratio, to count.
 LEAST_DOCUMENTS, LEAST_SHARE, STRONG = 4, 0.003, 2.5
+#: Windows that a worker gathers before it hands on their counts; memory only.
+FLUSH = 1 << 20
 
 
 def folded(data: np.ndarray) -> np.ndarray:
@@ -263,7 +265,14 @@ def _count_windows(sample: DataFrame, costs: np.ndarray, among: np.ndarray | Non
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         restorer = Restorer(costs)
         wanted = None if among is None else np.unpackbits(among).astype(bool)
-        found = []
+        found: list[np.ndarray] = []
+        held = 0
+
+        def counted() -> pa.RecordBatch:
+            code, n = np.unique(np.concatenate(found), return_counts=True)
+            found.clear()
+            return pa.RecordBatch.from_arrays([pa.array((code >> 2).astype(np.int32)), pa.array((code & 3).astype(np.int32)), pa.array(n.astype(np.int64))], ["slot", "part", "n"])
+
         for batch in batches:
             parts = batch.column(1).to_numpy(zero_copy_only=False)
             for lo, hi, data, at in restored_blocks(text_column(batch.column(0)), restorer):
@@ -272,9 +281,12 @@ def _count_windows(sample: DataFrame, costs: np.ndarray, among: np.ndarray | Non
                     rows = (np.searchsorted(starts, where, "right") - 1).clip(0, hi - lo - 1)
                     own = np.unique(rows << BITS | slots[where])
                     found.append((own & ((1 << BITS) - 1)) << 2 | parts[lo + (own >> BITS)])
+                    held += len(own)
+                if held > FLUSH:
+                    held = 0
+                    yield counted()
         if found:
-            code, n = np.unique(np.concatenate(found), return_counts=True)
-            yield pa.RecordBatch.from_arrays([pa.array((code >> 2).astype(np.int32)), pa.array((code & 3).astype(np.int32)), pa.array(n.astype(np.int64))], ["slot", "part", "n"])
+            yield counted()
 
     return sample.select("doc_text", "part").mapInArrow(run, schema).groupBy("slot", "part").agg(F.sum("n").alias("n"))
 
