@@ -83,7 +83,8 @@ def matches(docs: DataFrame, items: DataFrame, key: str = "doc_id", text: str =
         side = F.broadcast(anchored.where(F.pmod(F.xxhash64("words"), F.lit(n_parts)) == part))
         first = F.col("at") - F.col("before")  # in parts, from 0
         fits = (first >= F.col("led")) & (first - F.col("led") + F.size("words") <= F.col("n"))
-        same = F.transform(F.slice("p", F.when(fits, first + 1).otherwise(1), F.size("words")), _plain) == F.col("words")
+        # Only generated code here, no lambda: the join's rows are then filtered before any is made, and none carries p.
+        same = F.translate(F.array_join(F.slice("p", F.when(fits, first + 1).otherwise(1), F.size("words")), " "), _UPPER, _LOWER) == F.array_join("words", " ")
         itself = (F.col("at") == F.size("p")) if part == 0 else F.lit(False)
         joined = placed.join(side, F.col("word") == F.col("token"), "left").where(itself | F.coalesce((F.col("word") != "") & fits & same, F.lit(False)))
         hit = F.col("token").isNotNull()
