@@ -23,7 +23,9 @@ from pyspark.sql import types as T
 from ._blocks import table
 
 #: Vectors in a block of queries and of candidates at most, and pivots.
-QUERY_BLOCK, CANDIDATE_BLOCK, PIVOTS = 256, 1024, 32
+QUERY_BLOCK, CANDIDATE_BLOCK, PIVOTS = 256, 1024, 16
+#: Query blocks that a task keeps results of at once; an older one is sent on and may come again.
+MOST_OPEN = 64
 SCALE = 256.0
 
 _PACKED = T.StructType(
@@ -69,47 +71,74 @@ def pack(vectors: DataFrame, pivots: list[list[float]], most: int) -> DataFrame:
 
 
 def inner_products(q: np.ndarray, x: np.ndarray) -> np.ndarray:
-    """Exact integer inner products of rows: in floats while these are exact, else in Python's integers."""
-    if not q.size or not x.size or float(np.abs(q).max()) * float(np.abs(x).max()) * q.shape[-1] < 2.0**53:
-        return np.einsum("ij,ij->i", q, x).astype(np.int64)
-    return np.array([sum(int(a) * int(b) for a, b in zip(u, v, strict=True)) for u, v in zip(q, x, strict=True)], object)
-
-
-def search(q_ids, q, q_norms, q_far, x_ids, x, x_norms, x_far, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """The k best candidates of a block for each query of a block, ties to smaller ids; a query's own id is left out."""
-    n = len(x_ids)
-    bound = np.full((len(q_ids), n), np.inf)
-    if q_far.shape[1]:
-        least = np.zeros((len(q_ids), n))
-        for a, b in zip(q_far.T, x_far.T, strict=True):
-            np.maximum(least, np.abs(a[:, None] - b), out=least)
-        bound = (q_norms[:, None] + x_norms - least**2) / 2
-        bound += 1e-9 * (q_norms[:, None] + x_norms) + 1  # more than rounding can take away
-    order = np.argsort(-bound, axis=1, kind="stable")
-    bound = np.take_along_axis(bound, order, 1)
-    best: list[list[tuple[int, int]]] = [[] for _ in q_ids]
-    left, at, step = np.arange(len(q_ids)), 0, max(4 * k, 32)
-    while len(left) and at < n:
-        take = order[left, at : at + step]
-        scores = inner_products(np.repeat(q[left], take.shape[1], 0), x[take.ravel()]).reshape(take.shape)
-        still = []
-        for r, cand, got in zip(left.tolist(), take, scores, strict=True):
-            if len(best[r]) == k:
-                close = got >= best[r][-1][0] * -1
-                cand, got = cand[close], got[close]
-            new = {(-int(s), int(i)) for s, i in zip(got, x_ids[cand], strict=True) if i != q_ids[r]}
-            if new:
-                best[r] = sorted(new.union(best[r]))[:k]
-            # The next bound decides: what is left cannot reach a score that it lies below.
-            if at + step < n and (len(best[r]) < k or bound[r, at + step] >= -best[r][-1][0]):
-                still.append(r)
-        left, at, step = np.array(still, np.int64), at + step, step * 2
-    rows = [(int(q_ids[r]), i, -s) for r, own in enumerate(best) for s, i in own]
-    if not rows:
+    """Exact integer inner products of all rows of q and x: in floats while these are exact, else in Python's integers."""
+    if not q.size or not x.size or float(np.abs(q).max()) * float(np.abs(x).max()) * q.shape[1] < 2.0**53:
+        return q @ x.T
+    whole = [[int(c) for c in row] for row in x]
+    return np.array([[sum(int(a) * b for a, b in zip(u, v, strict=True)) for v in whole] for u in q], object)
+
+
+def upper_bounds(q_norms: np.ndarray, q_far: np.ndarray, x_norms: np.ndarray, x_far: np.ndarray) -> np.ndarray:
+    """The least upper bound on each inner product that the pivot table gives, with more slack than rounding can take."""
+    if not q_far.shape[1]:
+        return np.full((len(q_norms), len(x_norms)), np.inf)
+    least = np.zeros((len(q_norms), len(x_norms)), np.float32)
+    gap = np.empty_like(least)
+    for a, b in zip(q_far.T.astype(np.float32), x_far.T.astype(np.float32), strict=True):
+        np.subtract(a[:, None], b, out=gap)
+        np.abs(gap, out=gap)
+        np.maximum(least, gap, out=least)
+    total = q_norms[:, None] + x_norms
+    return (total - least.astype(np.float64) ** 2) / 2 + 1e-5 * total + 1
+
+
+class Best:
+    """The k best (score, id) of each query of a block so far: larger scores first, then smaller ids."""
+
+    def __init__(self, q_ids: np.ndarray, k: int):
+        self.q_ids, self.k = q_ids, k
         none = np.zeros(0, np.int64)
-        return none, none, none
-    a, b, c = zip(*rows, strict=True)
-    return np.array(a, np.int64), np.array(b, np.int64), np.array(c, np.int64)
+        self.row, self.id, self.score = none, none, none
+        self.floor = np.full(len(q_ids), -np.inf)
+
+    def add(self, rows: np.ndarray, scores: np.ndarray, ids: np.ndarray) -> None:
+        """Scores of candidates (columns) for some queries (rows)."""
+        own = ids == self.q_ids[rows][:, None]
+        ranked = np.where(own, -np.inf, scores.astype(np.float64))
+        at = self.floor[rows]
+        if ranked.shape[1] > self.k:
+            at = np.maximum(at, np.partition(ranked, -self.k, axis=1)[:, -self.k])
+        r, c = np.nonzero((ranked >= at[:, None]) & ~own)
+        row, ident, score = (np.concatenate(x) for x in ((self.row, rows[r]), (self.id, ids[c]), (self.score, scores[r, c].astype(np.int64))))
+        order = np.lexsort((ident, -score, row))
+        row, ident, score = row[order], ident[order], score[order]
+        new = np.ones(len(row), bool)
+        new[1:] = (row[1:] != row[:-1]) | (ident[1:] != ident[:-1]) | (score[1:] != score[:-1])
+        row, ident, score = row[new], ident[new], score[new]
+        place = np.arange(len(row)) - np.searchsorted(row, row)
+        keep = place < self.k
+        self.row, self.id, self.score = row[keep], ident[keep], score[keep]
+        last = place == self.k - 1
+        self.floor[row[last]] = score[last]
+
+
+def search(best: Best, q, q_norms, q_far, x_ids, x, x_norms, x_far, step: int = 256) -> None:
+    """Add the best candidates of a block to the best so far of a block of queries.
+
+    Candidates come in the order of the largest bound that any query gives them. A query rests when no
+    bound that is left for it reaches its k-th best score, and the search stops when all rest.
+    """
+    bound = upper_bounds(q_norms, q_far, x_norms, x_far)
+    order = np.argsort(-bound.max(0), kind="stable")
+    bound = bound[:, order]
+    left = np.maximum.accumulate(bound[:, ::-1], axis=1)[:, ::-1]
+    for lo in range(0, len(order), step):
+        rows = np.flatnonzero(left[:, lo] >= best.floor)
+        if not len(rows):
+            break
+        cols = np.flatnonzero((bound[rows, lo : lo + step] >= best.floor[rows][:, None]).any(0))
+        take = order[lo : lo + step][cols]
+        best.add(rows, inner_products(q[rows], x[take]), x_ids[take])
 
 
 def top_k(vectors: DataFrame, k: int = 5, every: int = 50, key: str = "vec_id", value: str = "embedding", n_pivots: int = PIVOTS) -> DataFrame:
@@ -138,13 +167,25 @@ def top_k(vectors: DataFrame, k: int = 5, every: int = 50, key: str = "vec_id",
             floats = [np.frombuffer(s[c], np.float64) for c in ("vectors", "norms", "distances")]
             return np.frombuffer(s["ids"], "<i8"), floats[0].reshape(n, dim), floats[1], floats[2].reshape(n, -1)
 
+        # The pairs of a query block come to one task, so what it has found bounds what can still win.
+        so_far: dict[bytes, Best] = {}
         for batch in batches:
             for i in range(batch.num_rows):
-                found = search(*opened(batch.column(0)[i].as_py()), *opened(batch.column(1)[i].as_py()), k)
-                yield pa.RecordBatch.from_arrays([pa.array(c) for c in found], _FOUND.names)
+                own, other = batch.column(0)[i].as_py(), batch.column(1)[i].as_py()
+                ids, *rest = opened(own)
+                if own["ids"] not in so_far:
+                    if len(so_far) >= MOST_OPEN:
+                        yield listed(so_far.pop(next(iter(so_far))))
+                    so_far[own["ids"]] = Best(ids, k)
+                search(so_far[own["ids"]], *rest, *opened(other))
+        for best in so_far.values():
+            yield listed(best)
+
+    def listed(best: Best) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array(best.q_ids[best.row]), pa.array(best.id), pa.array(best.score)], _FOUND.names)
 
     found = pairs.mapInArrow(run, _FOUND).distinct()
-    # Each block sends k rows a query, so the window sorts k rows for each candidate block of a query.
+    # A task sends k rows a query, so the window sorts k rows for each time that a query block came up.
     nth = F.row_number().over(_window())
     return found.withColumn("rank", nth).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 
