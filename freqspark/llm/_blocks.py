@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import gc
 from collections.abc import Iterator
 
 import numpy as np
@@ -18,6 +19,11 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def bounded(small: DataFrame, most: int) -> DataFrame:
+    """A broadcast of rows that were counted to be at most so many, else the rows as they are, for a shuffled join."""
+    return F.broadcast(small) if small.count() <= most else small
+
+
 def remainder(key: Column, n: int) -> Column:
     """crc32 of a key as text, modulo n; null for a null key."""
     return F.crc32(key.cast("string").cast("binary")) % n
@@ -125,4 +131,7 @@ def cut(df: DataFrame) -> DataFrame:
 
             shared = tempfile.mkdtemp(prefix="checkpoints-")
         context.setCheckpointDir(shared)
+    # Shuffle files behind what was cut before are of no more use; the context's cleaner deletes them once the plans are collected.
+    gc.collect()
+    context._jvm.System.gc()
     return df.checkpoint(True)

@@ -4,11 +4,16 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ._blocks import cut
 
+#: Partners of a node in another component that are checked before all others.
+LIKELY = 4
+#: Rounds across components: first a look at one partner in so many, which joins most of what can be joined; the last takes all.
+SHARES = (8, 1)
+
 
 def _print(edges: DataFrame) -> tuple[int, int]:
     """A fingerprint of a set of edges."""
@@ -41,30 +46,69 @@ def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     return own.select(F.col("u").alias("node"), F.col("v").alias("root"))
 
 
-def similar_groups(members: DataFrame, verify: Callable[[DataFrame], DataFrame]) -> DataFrame:
+def similar_groups(members: DataFrame, verify: Callable[[DataFrame], DataFrame], sizes: DataFrame | None = None, percent: int = 0) -> DataFrame:
     """Components of the similarity graph over nodes that share buckets: node, root (nodes with a smaller partner only).
 
-    members: bucket, node, need; a pair is a candidate when it shares at least the lesser need of
-    the two in buckets. verify: pairs (a < b) to those that are similar.
+    members: bucket, node, info = 8 * place + need. A pair is a candidate when it shares at least the lesser
+    need of the two in buckets. With sizes (node, n), nodes are sets, buckets their members in one order
+    for all sets, place a member's number in its own (from 0), and similar sets have a Jaccard similarity of
+    `percent` hundredths: then a pair must overlap in `least` of its members, so it shares one that stands in
+    neither set too late for that, and those before its last shared one that it does not share are misses.
+    verify: pairs (a < b) to those that are similar.
 
-    First each node is checked against one partner: of the smallest nodes of its buckets the one that it
-    shares most buckets with. That joins the groups of copies by one pair a node. Then only
-    pairs across the components found so far can add anything: in each bucket the nodes outside its
-    commonest component are paired with the others, which is exact, as two nodes of one component need
-    no further link.
+    First each node is checked against one partner. Each bucket has a centre, the node that shares most
+    buckets of its own with others: of a group of changed copies that is the one nearest to all. A node's
+    partner is the centre that it meets most often, so groups of copies are joined by one pair a node. Then
+    only pairs across the components found so far can add anything: in each bucket the nodes outside
+    its commonest component are paired with the others, in rounds over ever more partners. The last round
+    takes all, which is exact, as two nodes of one component need no further link.
     """
-    shared = members.groupBy("bucket").agg(F.min("node").alias("pivot"), F.max("node").alias("last")).where("pivot <> last").select(F.col("bucket").alias("own"), "pivot")
-    held = cut(members.join(shared, F.col("bucket") == F.col("own")).select("bucket", "node", "need", "pivot").distinct())
-    by_pivot = held.where("node <> pivot").groupBy("node", "pivot").agg(F.count("*").alias("c"))
-    most = by_pivot.groupBy("node").agg(F.max_by("pivot", F.struct("c", -F.col("pivot"))).alias("pivot"))
-    first = cut(verify(most.select(F.col("pivot").alias("a"), F.col("node").alias("b"))))
+    shared = members.groupBy("bucket").agg(F.min("node").alias("low"), F.max("node").alias("high")).where("low <> high").select(F.col("bucket").alias("own"))
+    held = cut(members.join(shared, F.col("bucket") == F.col("own")).select("bucket", "node", "info").distinct())
+    degree = held.groupBy("node").agg(F.count("*").alias("degree"))
+    ranked = held.join(degree, "node").select("bucket", F.struct("degree", (-F.col("node")).alias("minus")).alias("rank"))
+    centres = ranked.groupBy("bucket").agg((-F.max("rank")["minus"]).alias("centre"))
+    met = held.join(centres, "bucket").where("node <> centre").groupBy("node", "centre").agg(F.count("*").alias("c"))
+    most = met.groupBy("node").agg(F.max_by("centre", F.struct("c", -F.col("centre"))).alias("centre"))
+    first = cut(verify(most.select(F.least("node", "centre").alias("a"), F.greatest("node", "centre").alias("b")).distinct()))
     known = components(first)
-    named = held.join(known.withColumnRenamed("node", "k"), F.col("node") == F.col("k"), "left").select("bucket", "node", "need", F.coalesce("root", "node").alias("root"))
-    sizes = named.groupBy("bucket", "root").agg(F.count("*").alias("c"))
-    mixed = sizes.groupBy("bucket").agg(F.max_by("root", F.struct("c", "root")).alias("main"), F.count("*").alias("k")).where("k > 1").select(F.col("bucket").alias("own"), "main")
-    open_ = cut(named.join(mixed, F.col("bucket") == F.col("own")).select("bucket", "node", "need", "root", "main"))
-    few = open_.where("root <> main").select("bucket", F.col("node").alias("x"), F.col("need").alias("x_need"), F.col("root").alias("x_root"))
-    met = few.join(open_, "bucket").where("root <> x_root and (root = main or node > x)")
-    pairs = met.groupBy(F.least("x", "node").alias("a"), F.greatest("x", "node").alias("b")).agg(F.count("*").alias("c"), F.min(F.least("x_need", "need")).alias("least")).where("c >= least").select("a", "b")
-    second = verify(pairs)
-    return components(known.select(F.col("root").alias("a"), F.col("node").alias("b")).unionByName(second.select("a", "b")))
+    for share in SHARES:
+        links = _across(held, known, verify, sizes, percent, share)
+        known = components(known.select(F.col("root").alias("a"), F.col("node").alias("b")).unionByName(links))
+    return known
+
+
+def _across(held: DataFrame, known: DataFrame, verify: Callable[[DataFrame], DataFrame], sizes: DataFrame | None, percent: int, share: int) -> DataFrame:
+    """Links across the known components: with share 1 all that can join any two; else likely ones, found among one partner in `share`."""
+    named = held.join(known.withColumnRenamed("node", "k"), F.col("node") == F.col("k"), "left").select("bucket", "node", "info", F.coalesce("root", "node").alias("root"))
+    counted = named.groupBy("bucket", "root").agg(F.count("*").alias("c"))
+    mixed = counted.groupBy("bucket").agg(F.max_by("root", F.struct("c", "root")).alias("main"), F.count("*").alias("k")).where("k > 1").select(F.col("bucket").alias("own"), "main")
+    open_ = named.join(mixed, F.col("bucket") == F.col("own"))
+    # Nothing that stands before a set's first bucket of several nodes is shared.
+    start = held.groupBy(F.col("node").alias("s")).agg(F.shiftright(F.min("info"), 3).alias("start"))
+    of = start.join(sizes.select(F.col("node").alias("t"), "n"), F.col("s") == F.col("t")).drop("t") if sizes is not None else start.withColumn("n", F.lit(1))
+    open_ = cut(open_.join(of, F.col("node") == F.col("s")).select("bucket", "node", F.shiftright("info", 3).alias("place"), (F.col("info") % 8).alias("need"), "root", "main", "n", "start"))
+    few = open_.where("root <> main").select("bucket", *(F.col(c).alias(f"x_{c}") for c in ("node", "place", "need", "root", "n", "start")))
+    apart = "root <> x_root and (root = main or node > x_node)"
+    least = f"(({percent} * (x_n + n) + {99 + percent}) div {100 + percent})"
+    # The last round asks for one shared member, standing as early as it must, and lets the misses before the last one decide.
+    enough, more = ("c >= l", "least(x_need, need) - 1") if share > 1 or sizes is None else ("c >= 1", "0")
+    if sizes is not None:
+        apart += f" and x_start <= x_n - {least} and start <= n - {least}"
+        apart += f" and 100 * least(x_n, n) >= {percent} * greatest(x_n, n) and x_place <= x_n - {least} + {more} and place <= n - {least} + {more}"
+        enough += f" and x_n - (x_last + 1 - c) >= {least} and n - (last + 1 - c) >= {least}"
+    partners = open_.where(F.pmod(F.xxhash64("node"), F.lit(share)) == 0)
+    met = few.join(partners, "bucket").where(apart).groupBy("x_node", "node")
+    counts = met.agg(F.count("*").alias("c"), F.min(F.least("x_need", "need")).alias("l"), F.max("root").alias("other"), F.max("x_n").alias("x_n"), F.max("n").alias("n"), F.max("x_place").alias("x_last"), F.max("place").alias("last")).where(enough)
+    pairs = cut(counts.select(F.least("x_node", "node").alias("a"), F.greatest("x_node", "node").alias("b"), F.col("x_node").alias("x"), "c", "other").dropDuplicates(["a", "b"]))
+    # The likeliest partners of each node in each other component first: what they join needs no more checks.
+    place = F.row_number().over(Window.partitionBy("x", "other").orderBy(F.desc("c"), "a", "b"))
+    likely = pairs.withColumn("place", place).where(F.col("place") <= LIKELY).select("a", "b")
+    links = cut(verify(likely))
+    if share > 1:
+        return links
+    now = components(known.select(F.col("root").alias("a"), F.col("node").alias("b")).unionByName(links))
+    root = lambda side: now.select(F.col("node").alias(side), F.col("root").alias(f"{side}_root"))
+    rest = pairs.select("a", "b").join(root("a"), "a", "left").join(root("b"), "b", "left").where("coalesce(a_root, a) <> coalesce(b_root, b)").select("a", "b")
+    others = rest.join(likely.select(F.col("a").alias("la"), F.col("b").alias("lb")), (F.col("a") == F.col("la")) & (F.col("b") == F.col("lb")), "left_anti")
+    return links.unionByName(cut(verify(others)))

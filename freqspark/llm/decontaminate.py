@@ -12,7 +12,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from ._blocks import cut, table
+from ._blocks import bounded, cut, table
 
 #: Words in a window.
 WIDTH = 10
@@ -59,16 +59,11 @@ def anchors(docs: DataFrame, windows: DataFrame, text: str) -> DataFrame:
     placed = windows.select("words", "item_ids", F.posexplode("words").alias("before", "token"))
     wanted = placed.select("token").distinct()
     words = docs.select(F.explode(_parts(F.col(text))).alias("raw")).select(_plain(F.col("raw")).alias("token"))
-    counts = words.join(_bounded(wanted), "token", "left_semi").groupBy("token").count()
+    counts = words.join(bounded(wanted, 10 * BROADCAST_WINDOWS), "token", "left_semi").groupBy("token").count()
     ranked = placed.join(counts, "token", "left").select("words", "item_ids", F.struct(F.coalesce("count", F.lit(0)).alias("c"), "token", "before").alias("a"))
     return ranked.groupBy("words").agg(F.min("a").alias("a"), F.first("item_ids").alias("item_ids")).select("words", "item_ids", "a.token", "a.before")
 
 
-def _bounded(small: DataFrame, most: int = 10 * BROADCAST_WINDOWS) -> DataFrame:
-    """A broadcast of rows that were counted to be few, else the rows as they are."""
-    return F.broadcast(small) if small.count() <= most else small
-
-
 def matches(docs: DataFrame, items: DataFrame, key: str = "doc_id", text: str = "text", item_key: str = "item_id", item_text: str = "text", width: int = WIDTH, most: int = BROADCAST_WINDOWS) -> DataFrame:
     """One row for each document row (start is null), and one for each window found in it: key, th, n, start, stop, item_ids."""
     windows = cut(item_windows(items, item_key, item_text, width))

@@ -5,7 +5,9 @@ all texts, rare ones first, by counts over the whole corpus in a table of fixed
 has to be the same for all texts for the result to be right. Two sets that are similar enough share at
 least l shingles of their prefixes of length |S| - ceil(t |S|) + l, for every l. Each text takes the l
 whose cost is least: reading the postings of its prefix, and verifying the candidates that share l of
-them. A pair is a candidate when it shares the lesser l of the two. Texts with equal sets are one
+them. A pair is a candidate when it shares the lesser l of the two. The sizes of a
+pair bound how late its first shared shingle may stand in each, and the last one that it shares tells how
+many it misses before. Texts with equal sets are one
 node; only one pair for each node, and pairs across groups that are still apart, are verified.
 """
 
@@ -20,13 +22,15 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from ._blocks import blocks, cut, mix, span_hashes, spans, table, text_column
+from ._blocks import blocks, bounded, cut, mix, span_hashes, spans, table, text_column
 from ._graph import similar_groups
 
 #: Words in a shingle, and the least similarity in hundredths.
 WORDS, PERCENT = 5, 75
 #: Counts are kept in 2**COUNT_BITS cells, which travel in 2**PART_BITS parts.
 COUNT_BITS, PART_BITS = 22, 6
+#: Pairs and keys that verification broadcasts at most; more go through shuffled joins.
+BROADCAST_ROWS = 300_000
 #: The longest prefix extension that is tried, and the cost of verifying a candidate against reading a posting.
 MOST_MATCHES, VERIFY_COST = 4, 8.0
 
@@ -129,14 +133,9 @@ def rarity(counted: DataFrame) -> np.ndarray:
     return out.ravel()
 
 
-def prefix_length(n: int, matches: int, percent: int) -> int:
-    """How many of the rarest of n shingles two similar sets must share `matches` of; all, where the set is too small for it."""
-    return min(n, n - -(-percent * n // 100) + matches)
-
-
 def prefixes(docs: DataFrame, classes: np.ndarray, width: int, percent: int) -> DataFrame:
-    """bucket, node, need: the prefix shingles of each set, and how many of them a partner must share."""
-    schema = T.StructType([T.StructField("bucket", T.LongType()), T.StructField("node", T.LongType()), T.StructField("need", T.IntegerType())])
+    """bucket, node, info: the prefix shingles of each set; info is 8 times a shingle's place in its set, plus how many a partner must share."""
+    schema = T.StructType([T.StructField("bucket", T.LongType()), T.StructField("node", T.LongType()), T.StructField("info", T.IntegerType())])
     # A cell also counts other shingles that fall into it: what the median cell has is taken off.
     counts = 2.0 ** (classes.astype(np.float64) / 8)
     noise = float(np.median(counts)) if len(counts) else 0.0
@@ -165,7 +164,7 @@ def prefixes(docs: DataFrame, classes: np.ndarray, width: int, percent: int) ->
                     better = long_enough & (price < best)
                     best[better], need[better] = price[better], matches
                 take = place < (base + need)[rows]
-                yield pa.RecordBatch.from_arrays([pa.array(hashes[take].view(np.int64)), pa.array(node[rows[take]]), pa.array(need[rows[take]].astype(np.int32))], schema.names)
+                yield pa.RecordBatch.from_arrays([pa.array(hashes[take].view(np.int64)), pa.array(node[rows[take]]), pa.array((8 * place + need[rows])[take].astype(np.int32))], schema.names)
 
     return docs.mapInArrow(run, schema)
 
@@ -215,25 +214,28 @@ def groups(docs: DataFrame, key: str = "doc_id", text: str = "text", width: int
     found = cut(facts(own, width))
     classes = rarity(found.where("part is not null").select("part", "counts"))
     rows = found.where("part is null").select("key", "n", "node", "check")
-    nodes = cut(rows.where("n > 0").groupBy("node").agg(F.min("key").alias("first"), F.min("check").alias("c"), F.max("check").alias("d")))
+    nodes = cut(rows.where("n > 0").groupBy("node").agg(F.min("key").alias("first"), F.max("n").alias("n"), F.min("check").alias("c"), F.max("check").alias("d")))
     if nodes.where("c <> d").limit(1).count():
         raise ValueError("two different sets share a 64-bit fingerprint")
 
     def verify(pairs: DataFrame) -> DataFrame:
         """Pairs of similar nodes; sets are made again, from one text of each node that is in a pair."""
         pairs = cut(pairs)
-        wanted = pairs.select(F.col("a").alias("node")).unionByName(pairs.select(F.col("b").alias("node"))).distinct()
-        firsts = nodes.join(wanted, "node").select(F.col("first").alias("k")).distinct()
-        sets = _sets(own.join(firsts, F.col("key").eqNullSafe(F.col("k")), "left_semi"), width)
-        sets = sets.join(wanted, "node", "left_semi").dropDuplicates(["node"])
-        x, y = (sets.select(F.col("node").alias(k), F.col("hashes").alias(h)) for k, h in (("a", "x"), ("b", "y")))
-        return _similar(pairs.join(x, "a").join(y, "b"), percent)
+
+        def sets(side: str) -> DataFrame:
+            """node, hashes of the nodes on one side of the pairs; repeated rows repeat them, which links don't mind."""
+            firsts = nodes.join(pairs.select(F.col(side).alias("node")).distinct(), "node").select(F.col("first").alias("k")).distinct()
+            return _sets(own.join(bounded(firsts, BROADCAST_ROWS), F.col("key").eqNullSafe(F.col("k")), "left_semi"), width)
+
+        # One set a pair is sent to the other side's: b has one partner mostly, a is the partner of many.
+        y = sets("b").join(bounded(pairs, BROADCAST_ROWS), F.col("node") == F.col("b")).select("a", "b", F.col("hashes").alias("y"))
+        x = sets("a").select(F.col("node").alias("a"), F.col("hashes").alias("x"))
+        wanted = bounded(pairs.select("a").distinct(), BROADCAST_ROWS)
+        return _similar(y.join(x.join(wanted, "a", "left_semi"), "a"), percent)
 
     texts = own.select("text")
     made = prefixes(texts, classes, width, percent)
-    several = made.groupBy("bucket").agg(F.min("node").alias("low"), F.max("node").alias("high")).where("low <> high").select(F.col("bucket").alias("own"))
-    members = made.join(several, F.col("bucket") == F.col("own"), "left_semi")
-    roots = similar_groups(members, verify)
+    roots = similar_groups(made, verify, nodes.select("node", "n"), percent)
     named = nodes.join(roots.withColumnRenamed("node", "k"), F.col("node") == F.col("k"), "left").select("node", "first", F.coalesce("root", "node").alias("root"))
     least = named.groupBy("root").agg(F.min("first").alias("component")).withColumnRenamed("root", "r")
     of_node = named.join(least, F.col("root") == F.col("r")).select(F.col("node").alias("k"), "component")

@@ -194,10 +194,9 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "quality", folds: int =
 
     sample = labelled(docs, labels, label, folds, held, most, key, text)
     # One row for each key and label: at most two for each of the `most` keys, whatever repeats.
-    rows = sample.select(F.col("doc_key").cast("string").alias("k"), "doc_text", "y").mapInArrow(run, schema).groupBy("k", "y").agg(F.min("x").alias("x")).collect()
-    rows.sort(key=lambda r: (r["k"], r["y"], bytes(r["x"])))
-    x = np.frombuffer(b"".join(bytes(r["x"]) for r in rows), np.float32).reshape(len(rows), len(STATISTICS))
-    return fit_trees(x, np.array([r["y"] for r in rows], np.float64))
+    rows = sample.select(F.col("doc_key").cast("string").alias("k"), "doc_text", "y").mapInArrow(run, schema).groupBy("k", "y").agg(F.min("x").alias("x")).toArrow().sort_by([("k", "ascending"), ("y", "ascending")])
+    x = np.frombuffer(b"".join(rows["x"].to_pylist()), np.float32).reshape(rows.num_rows, len(STATISTICS))
+    return fit_trees(x, rows["y"].to_numpy().astype(np.float64))
 
 
 def score(docs: DataFrame, model: BoostedTrees, threshold: float = THRESHOLD, folds: int = 4, held: int = 2, key: str = "doc_id", text: str = "text") -> DataFrame:

@@ -61,7 +61,7 @@ def count_trigrams(docs: DataFrame, text: str = "text") -> DataFrame:
 def language_model(counts: DataFrame) -> np.ndarray:
     """-log P(symbol | two before it) as a cube, backing off to fewer symbols; there are SYMBOLS**3 counts at most."""
     cube = np.zeros(SYMBOLS**3)
-    got = counts.toPandas()
+    got = counts.toArrow()
     cube[got["code"].to_numpy()] = got["n"].to_numpy()
     cube = cube.reshape(SYMBOLS, SYMBOLS, SYMBOLS)
     one = (cube.sum((0, 1)) + 0.5) / (cube.sum() + 0.5 * SYMBOLS)
@@ -343,15 +343,15 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", folds: int = 5
     if not toxic.sum() or not other.sum():
         return empty
     least = max(LEAST_DOCUMENTS, LEAST_SHARE * toxic.sum() / 2)
-    wanted = _count_windows(sample.where("y = 1"), costs, None).groupBy("slot").agg(F.sum("n").alias("n")).where(F.col("n") >= least).select("slot").toPandas()["slot"].to_numpy()
+    wanted = _count_windows(sample.where("y = 1"), costs, None).groupBy("slot").agg(F.sum("n").alias("n")).where(F.col("n") >= least).select("slot").toArrow()["slot"].to_numpy()
     bitmap = np.zeros(1 << BITS, bool)
     bitmap[wanted] = True
     each = _count_windows(sample, costs, np.packbits(bitmap)).groupBy("slot").agg(*(F.sum(F.when(F.col("part") == p, F.col("n")).otherwise(0)).cast("double").alias(f"p{p}") for p in range(4)))
     halves = [_weight(F.col(f"p{2 + h}"), F.col(f"p{h}"), int(toxic[h]), int(other[h])) for h in (0, 1)]
     whole = _weight(F.col("p2") + F.col("p3"), F.col("p0") + F.col("p1"), int(toxic.sum()), int(other.sum()))
-    strong = each.select("slot", whole.alias("w"), halves[0].alias("w0"), halves[1].alias("w1")).where("w > 0 or w0 > 0 or w1 > 0").toPandas().sort_values("slot")
-    slots = strong["slot"].to_numpy(np.int64)
-    w, *of_halves = (strong[c].to_numpy(np.float32) for c in ("w", "w0", "w1"))
+    strong = each.select("slot", whole.alias("w"), halves[0].alias("w0"), halves[1].alias("w1")).where("w > 0 or w0 > 0 or w1 > 0").toArrow().sort_by("slot")
+    slots = strong["slot"].to_numpy().astype(np.int64)
+    w, *of_halves = (strong[c].to_numpy().astype(np.float32) for c in ("w", "w0", "w1"))
     x, y = _evidence_of(sample, costs, [(slots[h > 0], h[h > 0]) for h in of_halves])
     return ToxicityModel(costs, slots[w > 0], w[w > 0], _logistic(x, y))
 
@@ -370,9 +370,9 @@ def _evidence_of(sample: DataFrame, costs: np.ndarray, halves: list[tuple[np.nda
                 x = np.where((part.to_numpy(zero_copy_only=False) % 2 == 0)[:, None], both[1], both[0])
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(lo, hi - lo), part, pa.array([r.tobytes() for r in x], pa.binary())], ["k", "part", "x"])
 
-    rows = sample.select(F.col("doc_key").cast("string").alias("k"), "part", "doc_text").mapInArrow(run, schema).collect()
-    rows.sort(key=lambda r: (r["k"], r["part"]))
-    return np.frombuffer(b"".join(bytes(r["x"]) for r in rows), np.float64).reshape(len(rows), 5), np.array([r["part"] // 2 for r in rows], np.float64)
+    rows = sample.select(F.col("doc_key").cast("string").alias("k"), "part", "doc_text").mapInArrow(run, schema).toArrow().sort_by([("k", "ascending"), ("part", "ascending")])
+    x = np.frombuffer(b"".join(rows["x"].to_pylist()), np.float64).reshape(rows.num_rows, 5)
+    return x, (rows["part"].to_numpy() // 2).astype(np.float64)
 
 
 def _scorer(model: ToxicityModel):
