@@ -104,3 +104,17 @@ def exact_heavy_hitters(updates: DataFrame, phi: float, spec: SummarySpec | None
     side = F.broadcast(candidates) if head[1] <= BROADCAST_COUNTERS else candidates
     sums = updates.join(side, "item", "left_semi").groupBy("item").agg(F.sum("weight").alias("f"))
     return sums.join(F.broadcast(total)).where(bar).select("item", "f")
+
+
+def exact_heavy_hitters_by(updates: DataFrame, by: list[str], phi: float, **options) -> DataFrame:
+    """by, item, f of the items that reach phi of their group's total: one summary a group, then one verifying scan.
+
+    The summaries have more than 2 / phi counters and subtract medians, so that no untracked item can reach its bar.
+    """
+    made = build_summary(updates, SummarySpec("rank", k=int(2 / phi) + 2), by, **options)
+    found = counters(made, by).where(F.col("upper") >= phi * F.col("total_weight")).select(*(F.col(c).alias(f"_{c}") for c in by), F.col("item").alias("_item"), F.col("total_weight").alias("_n"))
+    match = F.col("item") == F.col("_item")
+    for c in by:
+        match = match & F.col(c).eqNullSafe(F.col(f"_{c}"))
+    sums = updates.join(found, match).groupBy(*by, "item", "_n").agg(F.sum("weight").alias("f"))
+    return sums.where(F.col("f") >= phi * F.col("_n")).select(*by, "item", "f")
