@@ -7,8 +7,10 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ._blocks import cut
+from ._blocks import bounded, cut
 
+#: Facts about nodes that are broadcast to a join at most; more are joined by a shuffle.
+BROADCAST_ROWS = 300_000
 #: Partners of a node in another component that are checked before all others.
 LIKELY = 4
 #: Rounds across components: first a look at one partner in so many, which joins most of what can be joined; the last takes all.
@@ -65,35 +67,36 @@ def similar_groups(members: DataFrame, verify: Callable[[DataFrame], DataFrame],
     """
     shared = members.groupBy("bucket").agg(F.min("node").alias("low"), F.max("node").alias("high")).where("low <> high").select(F.col("bucket").alias("own"))
     held = cut(members.join(shared, F.col("bucket") == F.col("own")).select("bucket", "node", "info").distinct())
-    degree = held.groupBy("node").agg(F.count("*").alias("degree"))
-    ranked = held.join(degree, "node").select("bucket", F.struct("degree", (-F.col("node")).alias("minus")).alias("rank"))
+    # Nothing that stands before a set's first bucket of several nodes is shared.
+    of = held.groupBy("node").agg(F.count("*").alias("degree"), F.shiftright(F.min("info"), 3).alias("start"))
+    of = cut(of.join(sizes.select(F.col("node").alias("t"), "n"), F.col("node") == F.col("t")).drop("t") if sizes is not None else of.withColumn("n", F.lit(1)))
+    few_of = bounded(of.withColumnRenamed("node", "s"), BROADCAST_ROWS)
+    ranked = held.join(few_of, F.col("node") == F.col("s")).select("bucket", F.struct("degree", (-F.col("node")).alias("minus")).alias("rank"))
     centres = ranked.groupBy("bucket").agg((-F.max("rank")["minus"]).alias("centre"))
     met = held.join(centres, "bucket").where("node <> centre").groupBy("node", "centre").agg(F.count("*").alias("c"))
     most = met.groupBy("node").agg(F.max_by("centre", F.struct("c", -F.col("centre"))).alias("centre"))
     first = cut(verify(most.select(F.least("node", "centre").alias("a"), F.greatest("node", "centre").alias("b")).distinct()))
     known = components(first)
     for share in SHARES:
-        links = _across(held, known, verify, sizes, percent, share)
+        links = _across(held, few_of, known, verify, sizes is not None, percent, share)
         known = components(known.select(F.col("root").alias("a"), F.col("node").alias("b")).unionByName(links))
     return known
 
 
-def _across(held: DataFrame, known: DataFrame, verify: Callable[[DataFrame], DataFrame], sizes: DataFrame | None, percent: int, share: int) -> DataFrame:
+def _across(held: DataFrame, of: DataFrame, known: DataFrame, verify: Callable[[DataFrame], DataFrame], sized: bool, percent: int, share: int) -> DataFrame:
     """Links across the known components: with share 1 all that can join any two; else likely ones, found among one partner in `share`."""
-    named = held.join(known.withColumnRenamed("node", "k"), F.col("node") == F.col("k"), "left").select("bucket", "node", "info", F.coalesce("root", "node").alias("root"))
+    # Small sides are broadcast, so that the rows stay where their buckets are.
+    named = held.join(bounded(known.withColumnRenamed("node", "k"), BROADCAST_ROWS), F.col("node") == F.col("k"), "left").select("bucket", "node", "info", F.coalesce("root", "node").alias("root"))
     counted = named.groupBy("bucket", "root").agg(F.count("*").alias("c"))
     mixed = counted.groupBy("bucket").agg(F.max_by("root", F.struct("c", "root")).alias("main"), F.count("*").alias("k")).where("k > 1").select(F.col("bucket").alias("own"), "main")
     open_ = named.join(mixed, F.col("bucket") == F.col("own"))
-    # Nothing that stands before a set's first bucket of several nodes is shared.
-    start = held.groupBy(F.col("node").alias("s")).agg(F.shiftright(F.min("info"), 3).alias("start"))
-    of = start.join(sizes.select(F.col("node").alias("t"), "n"), F.col("s") == F.col("t")).drop("t") if sizes is not None else start.withColumn("n", F.lit(1))
     open_ = cut(open_.join(of, F.col("node") == F.col("s")).select("bucket", "node", F.shiftright("info", 3).alias("place"), (F.col("info") % 8).alias("need"), "root", "main", "n", "start"))
     few = open_.where("root <> main").select("bucket", *(F.col(c).alias(f"x_{c}") for c in ("node", "place", "need", "root", "n", "start")))
     apart = "root <> x_root and (root = main or node > x_node)"
     least = f"(({percent} * (x_n + n) + {99 + percent}) div {100 + percent})"
     # The last round asks for one shared member, standing as early as it must, and lets the misses before the last one decide.
-    enough, more = ("c >= l", "least(x_need, need) - 1") if share > 1 or sizes is None else ("c >= 1", "0")
-    if sizes is not None:
+    enough, more = ("c >= l", "least(x_need, need) - 1") if share > 1 or not sized else ("c >= 1", "0")
+    if sized:
         apart += f" and x_start <= x_n - {least} and start <= n - {least}"
         apart += f" and 100 * least(x_n, n) >= {percent} * greatest(x_n, n) and x_place <= x_n - {least} + {more} and place <= n - {least} + {more}"
         enough += f" and x_n - (x_last + 1 - c) >= {least} and n - (last + 1 - c) >= {least}"
