@@ -306,8 +306,8 @@ query("window_sliding", f"WITH s AS ({SQL['events']}), w AS (SELECT date_trunc('
 query("window_session", f"WITH s AS (SELECT *, CASE WHEN ts - lag(ts) OVER (PARTITION BY item ORDER BY ts) < INTERVAL 6 HOUR THEN 0 ELSE 1 END AS new FROM ({SQL['events']})), g AS (SELECT *, sum(new) OVER (PARTITION BY item ORDER BY ts ROWS UNBOUNDED PRECEDING) AS g FROM s) SELECT CAST(min(ts) AS TIMESTAMP) AS start, item, CAST(sum(weight) AS BIGINT) AS total, count(*) AS n FROM g GROUP BY item, g")(
     lambda spark, d: session_totals(STREAMS["events"](spark, d), "ts", "6 hours", F.col("weight"), ["item"]).withColumn("start", F.col("start").cast("timestamp_ntz"))
 )
-query("moving_48h_total", f"WITH h AS (SELECT CAST(floor(epoch(ts) / 3600) AS BIGINT) AS at, CAST(sum(weight) AS BIGINT) AS total FROM ({SQL['events']}) GROUP BY ALL) SELECT at, total, CAST(sum(total) OVER (ORDER BY at RANGE BETWEEN 47 PRECEDING AND CURRENT ROW) AS BIGINT) AS moving FROM h")(
-    lambda spark, d: moving_total(STREAMS["events"](spark, d).groupBy(F.floor(F.unix_timestamp(F.col("ts").cast("timestamp")) / 3600).alias("at")).agg(F.sum("weight").alias("total")), 48)
+query("moving_48h_total", f"WITH h AS (SELECT CAST(floor(epoch(ts) / 3600) AS BIGINT) AS hour, CAST(sum(weight) AS BIGINT) AS total FROM ({SQL['events']}) GROUP BY ALL) SELECT hour, total, CAST(sum(total) OVER (ORDER BY hour RANGE BETWEEN 47 PRECEDING AND CURRENT ROW) AS BIGINT) AS moving FROM h")(
+    lambda spark, d: moving_total(STREAMS["events"](spark, d).groupBy(F.floor(F.unix_timestamp(F.col("ts").cast("timestamp")) / 3600).alias("hour")).agg(F.sum("weight").alias("total")), 48, at="hour")
 )
 query("heavy_hitter_drift", f"WITH f AS (SELECT CAST(date_trunc('day', ts) AS DATE) AS day, event_type, CAST(sum(weight) AS BIGINT) AS f FROM ({SQL['events']}) GROUP BY ALL) SELECT day, event_type, f, lag(f) OVER w AS before, f - coalesce(lag(f) OVER w, 0) AS change FROM f WINDOW w AS (PARTITION BY event_type ORDER BY day)")(
     lambda spark, d: drift(STREAMS["events"](spark, d).groupBy(F.to_date("ts").alias("day"), "event_type").agg(F.sum("weight").alias("f")), "day", ["event_type"])
@@ -433,7 +433,7 @@ def _(spark, d):
 def _(spark, d):
     register(spark)
     STREAMS["brands"](spark, d).select(F.col("part").alias("grp"), "item", "weight").createOrReplaceTempView("freq_brands")
-    return spark.sql("SELECT grp, item, lower, upper FROM heavy_hitters(TABLE(SELECT * FROM freq_brands) PARTITION BY grp, 0.04D, 384)")
+    return spark.sql("SELECT grp, item, lower, upper FROM heavy_hitters(TABLE(SELECT * FROM freq_brands) PARTITION BY (grp), 0.04D, 384)")
 
 
 @query("summary_aggregate", f"SELECT part, item, CAST(sum(weight) AS BIGINT) AS c FROM ({SQL['brands']}) GROUP BY ALL")
