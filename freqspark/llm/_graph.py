@@ -48,7 +48,7 @@ def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     return own.select(F.col("u").alias("node"), F.col("v").alias("root"))
 
 
-def similar_groups(members: DataFrame, verify: Callable[[DataFrame], DataFrame], sizes: DataFrame | None = None, percent: int = 0) -> DataFrame:
+def similar_groups(members: DataFrame, verify: Callable[[DataFrame], DataFrame], sizes: DataFrame | None = None, percent: int = 0, tags: DataFrame | None = None, near: str = "true", shares: tuple[int, ...] = SHARES) -> DataFrame:
     """Components of the similarity graph over nodes that share buckets: node, root (nodes with a smaller partner only).
 
     members: bucket, node, info = 8 * place + need. A pair is a candidate when it shares at least the lesser
@@ -56,6 +56,7 @@ def similar_groups(members: DataFrame, verify: Callable[[DataFrame], DataFrame],
     for all sets, place a member's number in its own (from 0), and similar sets have a Jaccard similarity of
     `percent` hundredths: then a pair must overlap in `least` of its members, so it shares one that stands in
     neither set too late for that, and those before its last shared one that it does not share are misses.
+    tags: node, tag, a value that `near`, a condition on x_tag and tag, compares before a pair is made.
     verify: pairs (a < b) to those that are similar.
 
     First each node is checked against one partner. Each bucket has a centre, the node that shares most
@@ -69,30 +70,31 @@ def similar_groups(members: DataFrame, verify: Callable[[DataFrame], DataFrame],
     held = cut(members.join(shared, F.col("bucket") == F.col("own")).select("bucket", "node", "info").distinct())
     # Nothing that stands before a set's first bucket of several nodes is shared.
     of = held.groupBy("node").agg(F.count("*").alias("degree"), F.shiftright(F.min("info"), 3).alias("start"))
-    of = cut(of.join(sizes.select(F.col("node").alias("t"), "n"), F.col("node") == F.col("t")).drop("t") if sizes is not None else of.withColumn("n", F.lit(1)))
-    few_of = bounded(of.withColumnRenamed("node", "s"), BROADCAST_ROWS)
+    of = of.join(sizes.select(F.col("node").alias("t"), "n"), F.col("node") == F.col("t")).drop("t") if sizes is not None else of.withColumn("n", F.lit(1))
+    of = of.join(tags.select(F.col("node").alias("t"), "tag"), F.col("node") == F.col("t")).drop("t") if tags is not None else of.withColumn("tag", F.lit(0))
+    few_of = bounded(cut(of).withColumnRenamed("node", "s"), BROADCAST_ROWS)
     ranked = held.join(few_of, F.col("node") == F.col("s")).select("bucket", F.struct("degree", (-F.col("node")).alias("minus")).alias("rank"))
     centres = ranked.groupBy("bucket").agg((-F.max("rank")["minus"]).alias("centre"))
     met = held.join(centres, "bucket").where("node <> centre").groupBy("node", "centre").agg(F.count("*").alias("c"))
     most = met.groupBy("node").agg(F.max_by("centre", F.struct("c", -F.col("centre"))).alias("centre"))
     first = cut(verify(most.select(F.least("node", "centre").alias("a"), F.greatest("node", "centre").alias("b")).distinct()))
     known = components(first)
-    for share in SHARES:
-        links = _across(held, few_of, known, verify, sizes is not None, percent, share)
+    for share in shares:
+        links = _across(held, few_of, known, verify, sizes is not None, percent, near, share)
         known = components(known.select(F.col("root").alias("a"), F.col("node").alias("b")).unionByName(links))
     return known
 
 
-def _across(held: DataFrame, of: DataFrame, known: DataFrame, verify: Callable[[DataFrame], DataFrame], sized: bool, percent: int, share: int) -> DataFrame:
+def _across(held: DataFrame, of: DataFrame, known: DataFrame, verify: Callable[[DataFrame], DataFrame], sized: bool, percent: int, near: str, share: int) -> DataFrame:
     """Links across the known components: with share 1 all that can join any two; else likely ones, found among one partner in `share`."""
     # Small sides are broadcast, so that the rows stay where their buckets are.
     named = held.join(bounded(known.withColumnRenamed("node", "k"), BROADCAST_ROWS), F.col("node") == F.col("k"), "left").select("bucket", "node", "info", F.coalesce("root", "node").alias("root"))
     counted = named.groupBy("bucket", "root").agg(F.count("*").alias("c"))
     mixed = counted.groupBy("bucket").agg(F.max_by("root", F.struct("c", "root")).alias("main"), F.count("*").alias("k")).where("k > 1").select(F.col("bucket").alias("own"), "main")
     open_ = named.join(mixed, F.col("bucket") == F.col("own"))
-    open_ = cut(open_.join(of, F.col("node") == F.col("s")).select("bucket", "node", F.shiftright("info", 3).alias("place"), (F.col("info") % 8).alias("need"), "root", "main", "n", "start"))
-    few = open_.where("root <> main").select("bucket", *(F.col(c).alias(f"x_{c}") for c in ("node", "place", "need", "root", "n", "start")))
-    apart = "root <> x_root and (root = main or node > x_node)"
+    open_ = cut(open_.join(of, F.col("node") == F.col("s")).select("bucket", "node", F.shiftright("info", 3).alias("place"), (F.col("info") % 8).alias("need"), "root", "main", "n", "start", "tag"))
+    few = open_.where("root <> main").select("bucket", *(F.col(c).alias(f"x_{c}") for c in ("node", "place", "need", "root", "n", "start", "tag")))
+    apart = f"root <> x_root and (root = main or node > x_node) and ({near})"
     least = f"(({percent} * (x_n + n) + {99 + percent}) div {100 + percent})"
     # The last round asks for one shared member, standing as early as it must, and lets the misses before the last one decide.
     enough, more = ("c >= l", "least(x_need, need) - 1") if share > 1 or not sized else ("c >= 1", "0")
