@@ -69,8 +69,14 @@ def shingle_sets(data: np.ndarray, at: np.ndarray, width: int = WORDS) -> tuple[
     if not got:
         return np.zeros(0, np.uint64), np.zeros(n + 1, np.int64)
     of, hashes = np.concatenate(got_rows), np.concatenate(got)
-    order = np.lexsort((hashes, of))
-    of, hashes = of[order], hashes[order]
+    if not len(short) and len(hashes) > 64 * n:
+        # Rows are in place already: each is sorted by itself, which is faster than one sort by two keys.
+        ends = np.searchsorted(of, np.arange(n + 1))
+        for a, b in zip(ends[:-1].tolist(), ends[1:].tolist(), strict=True):
+            hashes[a:b].sort()
+    else:
+        order = np.lexsort((hashes, of))
+        of, hashes = of[order], hashes[order]
     new = np.ones(len(of), bool)
     new[1:] = (of[1:] != of[:-1]) | (hashes[1:] != hashes[:-1])
     of, hashes = of[new], hashes[new]
@@ -79,13 +85,11 @@ def shingle_sets(data: np.ndarray, at: np.ndarray, width: int = WORDS) -> tuple[
 
 def fingerprints(hashes: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Two 64-bit hashes of each set; the first names the node of all texts with that set."""
-    n = len(at) - 1
-    rows = np.repeat(np.arange(n), np.diff(at))
     out = []
     for salt in (0x5851F42D4C957F2D, 0x14057B7EF767814F):
-        sums = np.zeros(n, np.uint64)
-        np.add.at(sums, rows, mix(hashes ^ np.uint64(salt)))
-        out.append(mix(sums + np.diff(at).astype(np.uint64)).view(np.int64))
+        run = np.zeros(len(hashes) + 1, np.uint64)
+        np.cumsum(mix(hashes ^ np.uint64(salt)), out=run[1:])
+        out.append(mix(run[at[1:]] - run[at[:-1]] + np.diff(at).astype(np.uint64)).view(np.int64))
     return out[0], out[1]
 
 
@@ -148,7 +152,7 @@ def prefixes(docs: DataFrame, classes: np.ndarray, width: int, percent: int) ->
                 node, _ = fingerprints(hashes, begin)
                 rows = np.repeat(np.arange(len(begin) - 1), np.diff(begin))
                 rare = classes[(hashes >> np.uint64(64 - COUNT_BITS)).astype(np.int64)]
-                order = np.lexsort((hashes, rare, rows))  # rows stay where they are
+                order = np.argsort(rows << 8 | rare, kind="stable")  # rows stay where they are, equal classes in the order of hashes
                 hashes, rare = hashes[order], rare[order]
                 place = np.arange(len(hashes)) - begin[rows]
                 n = np.diff(begin)
