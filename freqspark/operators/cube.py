@@ -10,11 +10,15 @@ from .build import build_summary
 from .merge import merge_summaries
 
 
-def build_cube(df: DataFrame, time: Column, grain: str, dims: dict[str, Column], item: Column, weight: Column, spec: SummarySpec | None = None, **options) -> DataFrame:
-    """window_start, dims and a summary of each cell."""
+def build_cube(df: DataFrame, time: Column, grain: str, dims: dict[str, Column], item: Column, weight: Column, spec: SummarySpec | None = None, levels: tuple[int, ...] = (1,), **options) -> DataFrame:
+    """window_start, dims and a summary of each cell.
+
+    The rows of a window mostly lie in few partitions, so one level of merging is the default; data that
+    is not laid out by time wants more.
+    """
     groups = {"window_start": F.date_trunc(grain, time), **dims}
     updates = df.select(*(c.alias(n) for n, c in groups.items()), item.alias("item"), weight.alias("weight")).where("item is not null and weight > 0")
-    return build_summary(updates, spec, list(groups), **options)
+    return build_summary(updates, spec, list(groups), levels, **options)
 
 
 def write_cube(cube: DataFrame, path: str, mode: str = "append") -> None:
