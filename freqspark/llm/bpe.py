@@ -22,7 +22,7 @@ from pyspark.sql import types as T
 from ._blocks import table, text_column
 
 #: Pieces and pairs that a worker remembers; memory only, results don't depend on it.
-MEMO = 400_000
+MEMO = 150_000
 
 
 class _Memo(dict):

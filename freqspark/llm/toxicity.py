@@ -174,7 +174,7 @@ WINDOWS, BITS = (5, 7), 22
 #: A window must be in so many toxic training documents, in this share of them, and have this log ratio, to count.
 LEAST_DOCUMENTS, LEAST_SHARE, STRONG = 4, 0.003, 2.5
 #: Windows that a worker gathers before it hands on their counts; memory only.
-FLUSH = 1 << 20
+FLUSH = 1 << 19
 
 
 def folded(data: np.ndarray) -> np.ndarray:
