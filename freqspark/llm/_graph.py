@@ -96,7 +96,7 @@ def _across(held: DataFrame, of: DataFrame, known: DataFrame, verify: Callable[[
     few = open_.where("root <> main").select("bucket", *(F.col(c).alias(f"x_{c}") for c in ("node", "place", "need", "root", "n", "start", "tag")))
     apart = f"root <> x_root and (root = main or node > x_node) and ({near})"
     least = f"(({percent} * (x_n + n) + {99 + percent}) div {100 + percent})"
-    # The last round asks for one shared member, standing as early as it must, and lets the misses before the last one decide.
+    # The last round asks for one shared member, standing as early as it must; the misses before the last one decide nothing there.
     enough, more = ("c >= l", "least(x_need, need) - 1") if share > 1 or not sized else ("c >= 1", "0")
     if sized:
         apart += f" and x_start <= x_n - {least} and start <= n - {least}"
