@@ -118,12 +118,12 @@ def spans(inside: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray, n
     return starts, ends, np.searchsorted(at, starts, "right") - 1
 
 
-def cut(df: DataFrame, release: bool = False) -> DataFrame:
+def cut(df: DataFrame, release: bool = True) -> DataFrame:
     """The same rows from the shared checkpoint folder, with their lineage cut.
 
     The folder is the one that the session names in spark.checkpoint.dir; one of our own is set only
-    where none is, as in tests. With release, for rows that took a large shuffle, shuffle files that are of no
-    more use are let go: the context's cleaner deletes them once the plans are collected.
+    where none is, as in tests. With release, shuffle files that are of no more use are let go: the context's
+    cleaner deletes them once the plans are collected. Steps over few rows can do without.
     """
     context = df.sparkSession.sparkContext
     if context.getCheckpointDir() is None:

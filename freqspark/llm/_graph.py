@@ -33,7 +33,7 @@ def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     logarithm of a component's length; lineage is cut after each.
     """
     own = edges.select(F.greatest(a, b).alias("u"), F.least(a, b).alias("v")).where("u <> v").distinct()
-    own = cut(own)
+    own = cut(own, release=False)
     was = _print(own)
     while was[0]:
         both = own.unionByName(own.select(F.col("v").alias("u"), F.col("u").alias("v")))
@@ -42,7 +42,7 @@ def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
         low = large.groupBy("u").agg(F.min("v").alias("m")).withColumnRenamed("u", "k")
         pairs = large.join(low, F.col("u") == F.col("k")).select("u", "v", "m")
         small = pairs.select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(pairs.select("u", F.col("m").alias("v"))).where("u <> v").distinct()
-        own = cut(small)
+        own = cut(small, release=False)
         now = _print(own)
         if now == was:
             break
@@ -69,7 +69,7 @@ def similar_groups(members: DataFrame, verify: Callable[[DataFrame], DataFrame],
     takes all, which is exact, as two nodes of one component need no further link.
     """
     shared = members.groupBy("bucket").agg(F.min("node").alias("low"), F.max("node").alias("high")).where("low <> high").select(F.col("bucket").alias("own"))
-    held = cut(members.join(shared, F.col("bucket") == F.col("own")).select("bucket", "node", "info").distinct(), release=True)
+    held = cut(members.join(shared, F.col("bucket") == F.col("own")).select("bucket", "node", "info").distinct())
     # Nothing that stands before a set's first bucket of several nodes is shared.
     of = held.groupBy("node").agg(F.count("*").alias("degree"), F.shiftright(F.min("info"), 3).alias("start"))
     of = of.join(sizes.select(F.col("node").alias("t"), "n"), F.col("node") == F.col("t")).drop("t") if sizes is not None else of.withColumn("n", F.lit(1))
@@ -79,7 +79,7 @@ def similar_groups(members: DataFrame, verify: Callable[[DataFrame], DataFrame],
     centres = ranked.groupBy("bucket").agg((-F.max("rank")["minus"]).alias("centre"))
     met = held.join(centres, "bucket").where("node <> centre").groupBy("node", "centre").agg(F.count("*").alias("c"))
     most = met.groupBy("node").agg(F.max_by("centre", F.struct("c", -F.col("centre"))).alias("centre"))
-    first = cut(verify(most.select(F.least("node", "centre").alias("a"), F.greatest("node", "centre").alias("b")).distinct()), release=True)
+    first = cut(verify(most.select(F.least("node", "centre").alias("a"), F.greatest("node", "centre").alias("b")).distinct()))
     known = components(first)
     for share in shares:
         links = _across(held, few_of, known, verify, sizes is not None, percent, near, share)
@@ -94,7 +94,7 @@ def _across(held: DataFrame, of: DataFrame, known: DataFrame, verify: Callable[[
     counted = named.groupBy("bucket", "root").agg(F.count("*").alias("c"))
     mixed = counted.groupBy("bucket").agg(F.max_by("root", F.struct("c", "root")).alias("main"), F.count("*").alias("k")).where("k > 1").select(F.col("bucket").alias("own"), "main")
     open_ = named.join(mixed, F.col("bucket") == F.col("own"))
-    open_ = cut(open_.join(of, F.col("node") == F.col("s")).select("bucket", "node", F.shiftright("info", 3).alias("place"), (F.col("info") % 8).alias("need"), "root", "main", "n", "start", "tag"), release=True)
+    open_ = cut(open_.join(of, F.col("node") == F.col("s")).select("bucket", "node", F.shiftright("info", 3).alias("place"), (F.col("info") % 8).alias("need"), "root", "main", "n", "start", "tag"))
     few = open_.where("root <> main").select("bucket", *(F.col(c).alias(f"x_{c}") for c in ("node", "place", "need", "root", "n", "start", "tag")))
     apart = f"root <> x_root and (root = main or node > x_node) and ({near})"
     least = f"(({percent} * (x_n + n) + {99 + percent}) div {100 + percent})"
@@ -107,11 +107,11 @@ def _across(held: DataFrame, of: DataFrame, known: DataFrame, verify: Callable[[
     partners = open_.where(F.pmod(F.xxhash64("node"), F.lit(share)) == 0)
     met = few.join(partners, "bucket").where(apart).groupBy("x_node", "node")
     counts = met.agg(F.count("*").alias("c"), F.min(F.least("x_need", "need")).alias("l"), F.max("root").alias("other"), F.max("x_n").alias("x_n"), F.max("n").alias("n"), F.max("x_place").alias("x_last"), F.max("place").alias("last")).where(enough)
-    pairs = cut(counts.select(F.least("x_node", "node").alias("a"), F.greatest("x_node", "node").alias("b"), F.col("x_node").alias("x"), "c", "other").dropDuplicates(["a", "b"]), release=True)
+    pairs = cut(counts.select(F.least("x_node", "node").alias("a"), F.greatest("x_node", "node").alias("b"), F.col("x_node").alias("x"), "c", "other").dropDuplicates(["a", "b"]))
     # The likeliest partners of each node in each other component first: what they join needs no more checks.
     place = F.row_number().over(Window.partitionBy("x", "other").orderBy(F.desc("c"), "a", "b"))
     likely = pairs.withColumn("place", place).where(F.col("place") <= LIKELY).select("a", "b")
-    links = cut(verify(likely), release=True)
+    links = cut(verify(likely))
     if share > 1:
         return links
     now = components(known.select(F.col("root").alias("a"), F.col("node").alias("b")).unionByName(links))
@@ -121,21 +121,22 @@ def _across(held: DataFrame, of: DataFrame, known: DataFrame, verify: Callable[[
     return links.unionByName(cut(verify(others)))
 
 
-def near_groups(members: DataFrame, facts: list[str], near: str, verify: Callable[[DataFrame], DataFrame]) -> DataFrame:
+def near_groups(members: DataFrame, facts: DataFrame, near: str, verify: Callable[[DataFrame], DataFrame]) -> DataFrame:
     """Components of the similarity graph over nodes that share a bucket: node, root (nodes with a smaller partner only).
 
-    members: bucket, node (once a bucket) and facts of the node; `near` is a condition on the facts of
-    two nodes (those of one with x_ before them) that all similar ones meet. verify: pairs (a < b) to
-    those that are similar.
+    members: bucket, node (once a bucket). facts: node and what is known of it; `near` is a condition on the
+    facts of two nodes (those of one with x_ before them) that all similar ones meet. verify: pairs
+    (a < b) to those that are similar.
 
     First each node is paired with a few of its bucket, which joins groups of copies by few pairs a node.
     Only pairs across the components found so far can add anything then: in buckets that still hold
     several, the nodes outside the commonest are paired with all near ones of others, which is exact, as
     two nodes of one component need no further link.
     """
-    shared = cut(members.groupBy("bucket").agg(F.count("*").alias("c")).where("c > 1").select(F.col("bucket").alias("own")), release=True)
-    held = cut(members.join(shared, F.col("bucket") == F.col("own"), "left_semi"), release=True)
-    columns = ["node", "root", *facts]
+    shared = cut(members.groupBy("bucket").agg(F.count("*").alias("c")).where("c > 1").select(F.col("bucket").alias("own")))
+    known_of = facts.withColumnRenamed("node", "k")
+    held = cut(members.join(shared, F.col("bucket") == F.col("own"), "left_semi").join(known_of, F.col("node") == F.col("k")).drop("k"))
+    columns = ["node", "root", *(c for c in facts.columns if c != "node")]
     as_x = lambda prefix="": [F.col(f"{prefix}{c}").alias(f"x_{c}") for c in columns]
 
     def similar(met: DataFrame) -> DataFrame:
@@ -147,7 +148,7 @@ def near_groups(members: DataFrame, facts: list[str], near: str, verify: Callabl
     picked = alone.groupBy("bucket").agg(F.array_distinct(F.array(*firsts)).alias("x")).select("bucket", F.explode("x").alias("x")).select("bucket", *as_x("x."))
     known = components(similar(alone.join(picked, "bucket").where(f"root <> x_root and ({near})")))
     # The rows of buckets that hold several components, with each row's and the bucket's commonest.
-    rooted = held.join(bounded(known.withColumnRenamed("node", "k"), BROADCAST_ROWS), F.col("node") == F.col("k"), "left").select("bucket", "node", *facts, F.coalesce("root", "node").alias("root"))
+    rooted = held.join(bounded(known.withColumnRenamed("node", "k"), BROADCAST_ROWS), F.col("node") == F.col("k"), "left").select("bucket", *(c for c in columns if c != "root"), F.coalesce("root", "node").alias("root"))
     counted = rooted.groupBy("bucket", "root").agg(F.count("*").alias("c")).groupBy("bucket").agg(F.max_by("root", F.struct("c", "root")).alias("main"), F.count("*").alias("k"))
     open_ = cut(rooted.join(counted.where("k > 1").select(F.col("bucket").alias("own"), "main"), F.col("bucket") == F.col("own")).drop("own"))
     few = open_.where("root <> main").select("bucket", *as_x())
