@@ -3,7 +3,8 @@
 from __future__ import annotations
 
 import gc
-from collections.abc import Iterator
+import uuid
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -118,23 +119,49 @@ def spans(inside: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray, n
     return starts, ends, np.searchsorted(at, starts, "right") - 1
 
 
-def cut(df: DataFrame, release: bool = True) -> DataFrame:
-    """The same rows from the shared checkpoint folder, with their lineage cut.
-
-    The folder is the one that the session names in spark.checkpoint.dir; one of our own is set only
-    where none is, as in tests. With release, shuffle files that are of no more use are let go: the context's
-    cleaner deletes them once the plans are collected. Steps over few rows can do without.
-    """
-    context = df.sparkSession.sparkContext
+def _shared_folder(spark: SparkSession) -> str:
+    """The folder that the cluster names in spark.checkpoint.dir; one of our own only where none is, as in tests."""
+    context = spark.sparkContext
     if context.getCheckpointDir() is None:
-        if not (shared := df.sparkSession.conf.get("spark.checkpoint.dir", None)):
+        if not (shared := spark.conf.get("spark.checkpoint.dir", None)):
             import tempfile
 
             shared = tempfile.mkdtemp(prefix="checkpoints-")
         context.setCheckpointDir(shared)
+    return context.getCheckpointDir()
+
+
+def stored(df: DataFrame) -> tuple[DataFrame, Callable[[], None]]:
+    """The same rows from a table in the shared folder, and what deletes it: for many rows, of which later steps read some columns."""
+    spark = df.sparkSession
+    path, schema = f"{_shared_folder(spark)}/table-{uuid.uuid4().hex}", df.schema
+    df.write.parquet(path)
+    del df
+    _release(spark)
+    jvm = spark.sparkContext._jvm
+
+    def drop() -> None:
+        at = jvm.org.apache.hadoop.fs.Path(path)
+        at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
+
+    return spark.read.schema(schema).parquet(path), drop
+
+
+def _release(spark: SparkSession) -> None:
+    """Shuffle files that no plan holds any more are deleted by the context's cleaner once the plans are collected."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
+def cut(df: DataFrame, release: bool = True) -> DataFrame:
+    """The same rows from the shared checkpoint folder, with their lineage cut.
+
+    With release, shuffle files that are of no more use are let go; steps over few rows can do without.
+    """
+    spark = df.sparkSession
+    _shared_folder(spark)
     out = df.checkpoint(True)
     if release:
         del df
-        gc.collect()
-        context._jvm.System.gc()
+        _release(spark)
     return out

@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ._blocks import bounded, cut
+from ._blocks import bounded, cut, stored
 
 #: Facts about nodes that are broadcast to a join at most; more are joined by a shuffle.
 BROADCAST_ROWS = 300_000
@@ -15,8 +15,8 @@ BROADCAST_ROWS = 300_000
 LIKELY = 4
 #: Rounds across components: first a look at one partner in so many, which joins most of what can be joined; the last takes all.
 SHARES = (8, 1)
-#: Nodes of a bucket that all others are paired with first.
-PICKED = 4
+#: Nodes of a bucket at most of which all pairs are looked at; nodes of a larger one that all others are paired with first.
+SMALL, PICKED = 8, 4
 
 
 def _print(edges: DataFrame) -> tuple[int, int]:
@@ -128,29 +128,36 @@ def near_groups(members: DataFrame, facts: DataFrame, near: str, verify: Callabl
     facts of two nodes (those of one with x_ before them) that all similar ones meet. verify: pairs
     (a < b) to those that are similar.
 
-    First each node is paired with a few of its bucket, which joins groups of copies by few pairs a node.
-    Only pairs across the components found so far can add anything then: in buckets that still hold
-    several, the nodes outside the commonest are paired with all near ones of others, which is exact, as
-    two nodes of one component need no further link.
+    In small buckets all near pairs are verified. In a large one each node is first paired with a few,
+    which joins groups of copies by few pairs a node. Only pairs across the components found so far can
+    add anything then: where a bucket still holds several, the nodes outside the commonest are paired with
+    all near ones of others, which is exact, as two nodes of one component need no further link.
     """
-    shared = cut(members.groupBy("bucket").agg(F.count("*").alias("c")).where("c > 1").select(F.col("bucket").alias("own")))
+    shared = cut(members.groupBy("bucket").agg(F.count("*").alias("c")).where("c > 1").select(F.col("bucket").alias("own"), "c"))
     known_of = facts.withColumnRenamed("node", "k")
-    held = cut(members.join(shared, F.col("bucket") == F.col("own"), "left_semi").join(known_of, F.col("node") == F.col("k")).drop("k"))
-    columns = ["node", "root", *(c for c in facts.columns if c != "node")]
-    as_x = lambda prefix="": [F.col(f"{prefix}{c}").alias(f"x_{c}") for c in columns]
-
-    def similar(met: DataFrame) -> DataFrame:
-        return verify(met.select(F.least("x_node", "node").alias("a"), F.greatest("x_node", "node").alias("b")).distinct())
-
-    # The first nodes of each bucket in a few orders.
-    alone = held.withColumn("root", F.col("node"))
-    firsts = [F.min(F.struct(F.xxhash64("node", F.lit(i)).alias("o"), F.struct(*columns).alias("x")))["x"] for i in range(PICKED)]
-    picked = alone.groupBy("bucket").agg(F.array_distinct(F.array(*firsts)).alias("x")).select("bucket", F.explode("x").alias("x")).select("bucket", *as_x("x."))
-    known = components(similar(alone.join(picked, "bucket").where(f"root <> x_root and ({near})")))
-    # The rows of buckets that hold several components, with each row's and the bucket's commonest.
-    rooted = held.join(bounded(known.withColumnRenamed("node", "k"), BROADCAST_ROWS), F.col("node") == F.col("k"), "left").select("bucket", *(c for c in columns if c != "root"), F.coalesce("root", "node").alias("root"))
+    held, drop = stored(members.join(shared, F.col("bucket") == F.col("own")).drop("own").join(known_of, F.col("node") == F.col("k")).drop("k"))
+    columns = [c for c in facts.columns if c != "node"]
+
+    def as_x(rows: DataFrame, *more: str) -> DataFrame:
+        return rows.select("bucket", *(F.col(c).alias(f"x_{c}") for c in ("node", *more, *columns)))
+
+    def pairs(met: DataFrame) -> DataFrame:
+        return met.where(near).select(F.least("x_node", "node").alias("a"), F.greatest("x_node", "node").alias("b"))
+
+    small, large = held.where(F.col("c") <= SMALL), held.where(F.col("c") > SMALL)
+    every = pairs(small.join(as_x(small), "bucket").where("node > x_node"))
+    # The least nodes of a bucket in a few orders, which an exclusive or with a constant makes and undoes.
+    salts = [F.lit((0x9E3779B97F4A7C15 * i) % (1 << 63)) for i in range(PICKED)]
+    least = F.array_distinct(F.array(*(F.min(F.col("node").bitwiseXOR(salt)).bitwiseXOR(salt) for salt in salts)))
+    picked = large.groupBy("bucket").agg(least.alias("nodes")).select("bucket", F.explode("nodes").alias("node"))
+    first = pairs(large.join(as_x(large.join(picked, ["bucket", "node"], "left_semi")), "bucket").where("node <> x_node"))
+    known = components(verify(every.unionByName(first).distinct()))
+    # The rows of large buckets that hold several components, with each row's and the bucket's commonest.
+    rooted = large.join(bounded(known.withColumnRenamed("node", "k"), BROADCAST_ROWS), F.col("node") == F.col("k"), "left").select("bucket", "node", *columns, F.coalesce("root", "node").alias("root"))
     counted = rooted.groupBy("bucket", "root").agg(F.count("*").alias("c")).groupBy("bucket").agg(F.max_by("root", F.struct("c", "root")).alias("main"), F.count("*").alias("k"))
     open_ = cut(rooted.join(counted.where("k > 1").select(F.col("bucket").alias("own"), "main"), F.col("bucket") == F.col("own")).drop("own"))
-    few = open_.where("root <> main").select("bucket", *as_x())
-    links = similar(few.join(open_, "bucket").where(f"root <> x_root and (root = main or node > x_node) and ({near})"))
+    few = as_x(open_.where("root <> main"), "root")
+    across = pairs(few.join(open_, "bucket").where("root <> x_root and (root = main or node > x_node)"))
+    links = verify(across.distinct())
+    drop()
     return components(known.select(F.col("root").alias("a"), F.col("node").alias("b")).unionByName(links))
