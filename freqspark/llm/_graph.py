@@ -138,26 +138,24 @@ def near_groups(members: DataFrame, facts: DataFrame, near: str, verify: Callabl
     held, drop = stored(members.join(shared, F.col("bucket") == F.col("own")).drop("own").join(known_of, F.col("node") == F.col("k")).drop("k"))
     columns = [c for c in facts.columns if c != "node"]
 
-    def as_x(rows: DataFrame, *more: str) -> DataFrame:
-        return rows.select("bucket", *(F.col(c).alias(f"x_{c}") for c in ("node", *more, *columns)))
-
-    def pairs(met: DataFrame) -> DataFrame:
-        return met.where(near).select(F.least("x_node", "node").alias("a"), F.greatest("x_node", "node").alias("b"))
-
-    small, large = held.where(F.col("c") <= SMALL), held.where(F.col("c") > SMALL)
-    every = pairs(small.join(as_x(small), "bucket").where("node > x_node"))
+    def pairs(x: DataFrame, y: DataFrame, *more: str, apart: str) -> DataFrame:
+        """a, b of the near pairs of rows of both that share a bucket; x and y of one kind are shuffled once."""
+        both = x.alias("l").join(y.alias("r"), F.col("l.bucket") == F.col("r.bucket"))
+        named = both.select(*(F.col(f"l.{c}").alias(f"x_{c}") for c in ("node", *more, *columns)), *(f"r.{c}" for c in ("node", *more, *columns)))
+        return named.where(f"{apart} and {near}").select(F.least("x_node", "node").alias("a"), F.greatest("x_node", "node").alias("b"))
+
+    small, large = held.where(F.col("c") <= SMALL).drop("c"), held.where(F.col("c") > SMALL).drop("c")
+    every = pairs(small, small, apart="x_node < node")
     # The least nodes of a bucket in a few orders, which an exclusive or with a constant makes and undoes.
     salts = [F.lit((0x9E3779B97F4A7C15 * i) % (1 << 63)) for i in range(PICKED)]
     least = F.array_distinct(F.array(*(F.min(F.col("node").bitwiseXOR(salt)).bitwiseXOR(salt) for salt in salts)))
     picked = large.groupBy("bucket").agg(least.alias("nodes")).select("bucket", F.explode("nodes").alias("node"))
-    first = pairs(large.join(as_x(large.join(picked, ["bucket", "node"], "left_semi")), "bucket").where("node <> x_node"))
+    first = pairs(large.join(picked, ["bucket", "node"], "left_semi"), large, apart="x_node <> node")
     known = components(verify(every.unionByName(first).distinct()))
     # The rows of large buckets that hold several components, with each row's and the bucket's commonest.
     rooted = large.join(bounded(known.withColumnRenamed("node", "k"), BROADCAST_ROWS), F.col("node") == F.col("k"), "left").select("bucket", "node", *columns, F.coalesce("root", "node").alias("root"))
     counted = rooted.groupBy("bucket", "root").agg(F.count("*").alias("c")).groupBy("bucket").agg(F.max_by("root", F.struct("c", "root")).alias("main"), F.count("*").alias("k"))
     open_ = cut(rooted.join(counted.where("k > 1").select(F.col("bucket").alias("own"), "main"), F.col("bucket") == F.col("own")).drop("own"))
-    few = as_x(open_.where("root <> main"), "root")
-    across = pairs(few.join(open_, "bucket").where("root <> x_root and (root = main or node > x_node)"))
-    links = verify(across.distinct())
+    links = verify(pairs(open_.where("root <> main"), open_, "root", "main", apart="x_root <> root and (root = main or x_node < node)").distinct())
     drop()
     return components(known.select(F.col("root").alias("a"), F.col("node").alias("b")).unionByName(links))
