@@ -66,17 +66,11 @@ class HeavyHitters:
 
 
 def register(spark: SparkSession, k: int = 384) -> None:
-    """freq_lower, freq_upper, freq_summary and heavy_hitters for SQL."""
+    """freq_lower and freq_upper (SQL expressions), freq_summary and heavy_hitters for SQL."""
 
-    @F.pandas_udf("bigint")
-    def freq_lower(counters: pd.Series, item: pd.Series) -> pd.Series:
-        return pd.Series([next((p["c"] for p in own if p["item"] == i), 0) for own, i in zip(counters, item, strict=True)])
-
-    @F.pandas_udf("bigint")
-    def freq_upper(counters: pd.Series, offset: pd.Series, item: pd.Series) -> pd.Series:
-        return pd.Series([next((p["c"] for p in own if p["item"] == i), 0) + o for own, o, i in zip(counters, offset, item, strict=True)])
-
-    spark.udf.register("freq_lower", freq_lower)
-    spark.udf.register("freq_upper", freq_upper)
+    held = "ARRAY<STRUCT<item: STRING, c: BIGINT>>"
+    counter = "coalesce(try_element_at(map_from_entries(counters), wanted), 0)"
+    spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION freq_lower(counters {held}, wanted STRING) RETURNS BIGINT RETURN {counter}")
+    spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION freq_upper(counters {held}, above BIGINT, wanted STRING) RETURNS BIGINT RETURN {counter} + above")
     spark.udf.register("freq_summary", summary_json(k))
     spark.udtf.register("heavy_hitters", HeavyHitters)

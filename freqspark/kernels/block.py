@@ -1,8 +1,10 @@
 """Blocks of updates at a time: add them up by item, add the sums to the table, reduce while it is too large.
 
-Each reduce subtracts a value that at least `rank` counters reach, so the error bound of the
-row-by-row policies, (N - C) / rank, holds here too; there are fewer reduces, since a block's
-updates to one item become one.
+Each reduce subtracts the value of exact rank `rank` from the top, which at least so many counters reach, so
+the error bound of the row-by-row policies, (N - C) / rank, holds here too; there are fewer reduces, since
+a block's updates to one item become one. The table is larger than k when it is reduced, so a sample's quantile
+would be a quantile of the block as well and say little about the rank; selection is one vectorised pass, and a sample
+would save nothing. All reducing policies are therefore cut at their rank here, the global minimum at rank k.
 """
 
 from __future__ import annotations
@@ -69,13 +71,7 @@ class BlockReduce(Kernel):
 
     def _reduce(self) -> None:
         size, rank = len(self.counts), self.spec.rank
-        if self.spec.policy == "sample_quantile" and size > self.spec.sample_size:
-            rng = np.random.default_rng([self.spec.seed, self.salt, self.head.n_reduces])
-            sample = rng.choice(self.counts, self.spec.sample_size, replace=self.spec.with_replacement)
-            at = min(int((1 - rank / size) * len(sample)), len(sample) - 1)
-            cut = np.partition(sample, at)[at]
-        else:
-            cut = np.partition(self.counts, size - rank)[size - rank]
+        cut = np.partition(self.counts, size - rank)[size - rank]
         keep = np.flatnonzero(self.counts > cut)
         self.head.offset += cut.item()
         self.head.n_reduces += 1

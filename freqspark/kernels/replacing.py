@@ -11,13 +11,16 @@ from .base import Kernel
 class HeapReplace(Kernel):
     """A heap finds the least counter; entries that are out of date are passed over when they come up.
 
-    Counters overstate by at most the least one, which is this kernel's offset.
+    Counters overstate by at most the least one, which is this kernel's offset, and no item weighs more than
+    its counter, or than the offset if it has none. floor: what an item without a counter may weigh from merged
+    summaries whose counters do not fill this table.
     """
 
     def __init__(self, spec, salt: int = 0):
         super().__init__(spec, salt)
         self.table: dict[Any, Any] = {}
         self.heap: list[tuple[Any, Any]] = []
+        self.floor: Any = 0
 
     def counters(self):
         return list(self.table.items())
@@ -27,8 +30,8 @@ class HeapReplace(Kernel):
         if item in table:
             table[item] += weight
         elif len(table) < self.spec.k:
-            table[item] = weight
-            heapq.heappush(self.heap, (weight, item))
+            table[item] = self.floor + weight
+            heapq.heappush(self.heap, (table[item], item))
         else:
             least, victim = self.least()
             heapq.heappop(self.heap)
@@ -45,11 +48,31 @@ class HeapReplace(Kernel):
             heapq.heapreplace(heap, (now, heap[0][1]))
         return heap[0]
 
+    def untracked(self) -> Any:
+        """The most that an item without a counter can weigh."""
+        return max(self.floor, self.least()[0]) if len(self.table) >= self.spec.k else self.floor
+
     def finish(self) -> None:
-        self.head.offset = self.least()[0] if len(self.table) >= self.spec.k else 0
+        self.head.offset = self.untracked()
 
     def absorb(self, counters, head, order="random") -> None:
-        super().absorb(counters, head, order)
+        """Merge: counters of both are added up; an item that one of them does not hold may weigh what it leaves untracked.
+
+        A replay would keep the count of the one that holds it, which is no upper bound. The k largest stay.
+        """
+        theirs = dict(counters)
+        own, other = self.untracked(), head.offset
+        sums = {item: self.table.get(item, own) + theirs.get(item, other) for item in self.table.keys() | theirs.keys()}
+        first = heapq.nsmallest(self.spec.k, ((-c, item) for item, c in sums.items()))
+        self.floor = own + other
+        if len(sums) > len(first):
+            self.floor = max(self.floor, *(sums[item] for item in sums.keys() - {item for _, item in first}))
+            self.head.n_reduces += 1
+        self.head.counters_touched += len(theirs)
+        self.table = {item: -minus for minus, item in first}
+        self.heap = [(c, item) for item, c in self.table.items()]
+        heapq.heapify(self.heap)
+        self.head.add(head)
         self.finish()
 
 

@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from ..spec import SummarySpec
 from .build import build_summary
 from .merge import merge_summaries
+from .query import sized
 
 
 def build_cube(df: DataFrame, time: Column, grain: str, dims: dict[str, Column], item: Column, weight: Column, spec: SummarySpec | None = None, levels: tuple[int, ...] = (1,), **options) -> DataFrame:
@@ -43,8 +44,8 @@ def query_cube(cube: DataFrame, predicate: Column | str | None = None, by: list[
 
 
 def select_windows(cube: DataFrame, ranges: DataFrame) -> DataFrame:
-    """Cells joined to the query ranges (query, start, stop) that their window lies in; ranges are few and broadcast."""
-    return cube.join(F.broadcast(ranges), (F.col("window_start") >= F.col("start")) & (F.col("window_start") < F.col("stop")))
+    """Cells joined to the query ranges (query, start, stop) that their window lies in; ranges are broadcast where they are few."""
+    return cube.join(sized(ranges), (F.col("window_start") >= F.col("start")) & (F.col("window_start") < F.col("stop")))
 
 
 def summary_as_of(cells: DataFrame, moments: DataFrame, grain_seconds: int, value: str = "total_weight") -> DataFrame:

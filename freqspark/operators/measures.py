@@ -6,7 +6,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..spec import SAFE_SHARE
-from .query import counters
+from .query import counters, sized
 from .relational import residual_weights
 
 
@@ -22,7 +22,7 @@ def with_truth(summary: DataFrame, truth: DataFrame, by: list[str] | None = None
     match = F.lit(True)
     for c in by:
         match = match & F.col(c).eqNullSafe(F.col(f"h_{c}"))
-    all_ = joined.join(F.broadcast(heads), match)
+    all_ = joined.join(sized(heads) if by else F.broadcast(heads), match)
     return all_.select(*by, "item", "f", "c", F.coalesce("lower", F.lit(0)).alias("lower"), F.coalesce("upper", "offset").alias("upper"), F.coalesce("upper", F.lit(0)).alias("hybrid"), "offset", "total_weight", "counter_sum")
 
 
@@ -46,6 +46,20 @@ def bound_drop(rank: Column | int) -> Column:
     return (F.col("total_weight") - F.col("counter_sum")) / rank
 
 
+def bound_sort_merge(k: int) -> Column:
+    """(N - C) / (k + 1): what a merge by sorting keeps of parts that meet it, as those of the minimum reduce do."""
+    return bound_drop(k + 1)
+
+
+def audit_sort_merge(merged: DataFrame, summaries: DataFrame, truth: DataFrame, k: int) -> DataFrame:
+    """total_weight, n_items, violations of f - c <= (N - C) / (k + 1) by counters (item, c) that were merged by sorting."""
+    counted = merged.select(F.col("item").alias("_i"), "c")
+    rows = truth.join(counted, F.col("item").eqNullSafe(F.col("_i")), "left").select("f", F.coalesce("c", F.lit(0)).alias("c"))
+    worst = rows.agg(F.sum("f").alias("n"), F.sum("c").alias("counter_sum"), F.max(F.col("f") - F.col("c")).alias("worst"), F.count("*").alias("n_items"))
+    both = worst.join(summaries.agg(F.sum("total_weight").alias("total_weight")))  # one row each
+    return both.select("total_weight", "n_items", (F.col("worst") > bound_sort_merge(k)).cast("long").alias("violations"))
+
+
 def audit_drop_bound(summary: DataFrame, truth: DataFrame, rank: int) -> DataFrame:
     """total_weight, n_items, violations of f - lower <= (N - C) / rank."""
     rows = with_truth(summary, truth)

@@ -100,8 +100,8 @@ def merge_by_sort(summaries: DataFrame, k: int, by: list[str] | None = None, sub
     """item, c, offset: counters added up, sorted, the k largest kept; of any number of summaries at once.
 
     With subtract the (k+1)-th sum is taken off those that stay, which is what the error bound needs;
-    without it the rest is just dropped, as the method is usually worded. Partial sums are made before the
-    shuffle. Ties go to smaller items.
+    without it the rest is just dropped, as the method is usually worded. The offset also holds those of the
+    parts, so c + offset is an upper bound whatever they are. Partial sums are made before the shuffle. Ties go to smaller items.
     """
     from pyspark.sql import Window
 
@@ -118,12 +118,17 @@ def merge_by_sort(summaries: DataFrame, k: int, by: list[str] | None = None, sub
         place = F.row_number().over(Window.orderBy(F.desc("c"), "item"))
         joined = first.withColumn("r", place).withColumn("cut", F.max(F.when(F.col("r") == k + 1, F.col("c"))).over(Window.partitionBy(F.lit(0))))
     cut = F.coalesce("cut", F.lit(0)) if subtract else F.lit(0)
-    kept = joined.where(F.col("r") <= k).select(*by, "item", (F.col("c") - cut).alias("c"), cut.alias("offset"))
+    # One row a group, as many as headers of summaries: the shuffle of their sums is left to Spark.
+    parts = summaries.groupBy(*(F.col(c).alias(f"_{c}") for c in by)).agg(F.sum("offset").alias("_parts"))
+    same = F.lit(True)
+    for c in by:
+        same = same & F.col(c).eqNullSafe(F.col(f"_{c}"))
+    kept = joined.where(F.col("r") <= k).join(parts, same).select(*by, "item", (F.col("c") - cut).alias("c"), (cut + F.col("_parts")).alias("offset"))
     return kept.where("c > 0")
 
 
 def merge_by_select(summaries: DataFrame, k: int, by: list[str] | None = None, subtract: bool = True) -> DataFrame:
-    """The same by selection: a task adds the counters of its group into one table, finds the (k+1)-th and filters once.
+    """The same by selection: a task adds the counters of its group into one table, finds the (k+1)-th and filters once; offsets as there.
 
     It holds all distinct items of the group's summaries, so it is the comparison method, not the way for many summaries.
     """
@@ -133,7 +138,11 @@ def merge_by_select(summaries: DataFrame, k: int, by: list[str] | None = None, s
     arrow = arrow_schema(schema)
 
     def run(key: tuple[pa.Scalar, ...], batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        parts = [pa.table({"i": items, "c": counts}) for batch in batches for _, items, counts in from_batch(batch)]
+        parts, offsets = [], 0
+        for batch in batches:
+            for row, items, counts in from_batch(batch):
+                parts.append(pa.table({"i": items, "c": counts}))
+                offsets += row["offset"]
         if not parts:
             return
         summed = pa.concat_tables(parts).group_by("i").aggregate([("c", "sum")])
@@ -145,7 +154,7 @@ def merge_by_select(summaries: DataFrame, k: int, by: list[str] | None = None, s
             keep = np.concatenate([keep, ties[: k - len(keep)]])
         n, taken = len(keep), cut if subtract else 0
         group = [pa.array([v.as_py()] * n, arrow.field(c).type) for v, c in zip(key, by, strict=False)]
-        cols = [*group, summed.column("i").combine_chunks().take(pa.array(keep)).cast(arrow.field("item").type), pa.array(counts[keep] - taken).cast(arrow.field("c").type), pa.array([taken] * n, arrow.field("offset").type)]
+        cols = [*group, summed.column("i").combine_chunks().take(pa.array(keep)).cast(arrow.field("item").type), pa.array(counts[keep] - taken).cast(arrow.field("c").type), pa.array([offsets + taken] * n, arrow.field("offset").type)]
         yield pa.RecordBatch.from_arrays(cols, schema=arrow)
 
     keys = by or [F.lit(0).alias("_one")]

@@ -32,6 +32,11 @@ def _side(summary: DataFrame) -> DataFrame:
     return F.broadcast(small) if size <= BROADCAST_COUNTERS else small
 
 
+def sized(small: DataFrame, most: int = BROADCAST_COUNTERS) -> DataFrame:
+    """A broadcast of rows that were counted to be at most so many, else the rows as they are, for a shuffled join."""
+    return F.broadcast(small) if small.count() <= most else small
+
+
 def estimate(summary: DataFrame, items: DataFrame, mode: str = "hybrid") -> DataFrame:
     """The given items with an estimate of each.
 
@@ -64,7 +69,7 @@ def heavy_hitters(summaries: DataFrame, phi: float, guarantee: str = "no_false_n
 def heavy_hitter_grid(summary: DataFrame, phis: DataFrame, guarantee: str = "no_false_negatives") -> DataFrame:
     """phi, item, lower, upper for each threshold of a small frame with a column phi."""
     value = F.col("upper" if guarantee == "no_false_negatives" else "lower")
-    return counters(summary).join(F.broadcast(phis), value >= F.col("total_weight") * F.col("phi")).select("phi", "item", "lower", "upper")
+    return counters(summary).join(sized(phis), value >= F.col("total_weight") * F.col("phi")).select("phi", "item", "lower", "upper")
 
 
 def top_items(summaries: DataFrame, r: int, by: list[str] | None = None) -> DataFrame:
@@ -92,10 +97,12 @@ def exact_heavy_hitters(updates: DataFrame, phi: float, spec: SummarySpec | None
     for size in (spec.k, int(2.5 * max(1.0, spec.k / spec.rank) / phi)):
         # The size changes nothing but k: a rank that was given keeps its share of it.
         star = max(1, spec.k_star * size // spec.k) if spec.k_star else None
-        found = heavy_hitters(build_summary(updates, spec.with_(k=max(size, 1), k_star=star)).persist(), phi)
+        summary = build_summary(updates, spec.with_(k=max(size, 1), k_star=star)).persist()
+        found = heavy_hitters(summary, phi)
         head = found.agg(F.bool_and("complete"), F.count("*")).first()
         if head[0]:
             break
+        summary.unpersist()
     bar = F.col("f") >= F.lit(phi) * F.col("n")
     total = updates.agg(F.sum("weight").alias("n"))
     if not head[0]:
@@ -116,5 +123,7 @@ def exact_heavy_hitters_by(updates: DataFrame, by: list[str], phi: float, **opti
     match = F.col("item") == F.col("_item")
     for c in by:
         match = match & F.col(c).eqNullSafe(F.col(f"_{c}"))
-    sums = updates.join(found, match).groupBy(*by, "item", "_n").agg(F.sum("weight").alias("f"))
+    # Few for each group, but groups may be many: the updates are shuffled only if the candidates are too many to send out.
+    found = found.persist()
+    sums = updates.join(sized(found), match).groupBy(*by, "item", "_n").agg(F.sum("weight").alias("f"))
     return sums.where(F.col("f") >= phi * F.col("_n")).select(*by, "item", "f")

@@ -15,7 +15,7 @@ from ..operators import apps, cube, measures
 from ..operators.build import build_summary
 from ..operators.many import build_many, compare, equal_space
 from ..operators.merge import merge_by_select, merge_by_sort, merge_into_fresh, merge_pair, merge_summaries
-from ..operators.query import bounds, counters, estimate, exact_heavy_hitters, exact_heavy_hitters_by, heavy_hitter_grid, heavy_hitters, top_items, untracked
+from ..operators.query import bounds, counters, estimate, exact_heavy_hitters, exact_heavy_hitters_by, heavy_hitter_grid, heavy_hitters, sized, top_items, untracked
 from ..operators.relational import concat_streams, drift, exact_frequencies, frequency_cube, heavy_by_aggregation, moving_total, rank_items, residual_weights, stream_profile
 from ..sources.generators import zipf_updates
 from ..sources.tables import load, read_updates, stream_updates
@@ -103,19 +103,19 @@ def _(spark, d):
 
 
 def _lines_with_region(spark: SparkSession, d: str) -> DataFrame:
-    """Lines with the nation and region of their supplier; the dimensions are tables of fixed size but for the suppliers, which join by a shuffled hash."""
+    """Lines with the nation and region of their supplier; nations and regions are tables of fixed size, suppliers are broadcast if they are few enough."""
     places = load(spark, d, "nation").join(F.broadcast(load(spark, d, "region")), F.col("n_regionkey") == F.col("r_regionkey"))
     sellers = load(spark, d, "supplier").join(F.broadcast(places), F.col("s_nationkey") == F.col("n_nationkey")).select("s_suppkey", "n_name", "r_name")
     lines = load(spark, d, "lineitem").select("l_suppkey", "l_partkey", "l_shipdate", cents("l_extendedprice").alias("weight"))
-    return lines.join(sellers.hint("merge"), F.col("l_suppkey") == F.col("s_suppkey"))
+    return lines.join(sized(sellers), F.col("l_suppkey") == F.col("s_suppkey"))
 
 
 # ---- verified heavy hitters -------------------------------------------------------------------------
 
-for _s, _phi, _k in (("words", 0.01, 384), ("events", 0.008, 768), ("suppliers", 0.01, 768), ("orders_lines", 0.0015, 3072), ("word_lengths", 0.004, 1536)):
+for _s, _phi, _k in (("words", 0.01, 384), ("events", 0.008, 768), ("suppliers", 0.01, 768), ("planted", 0.0005, 384), ("orders_lines", 0.0015, 3072), ("word_lengths", 0.004, 1536)):
     query(f"verified_heavy_hitters_{_s}", _heavy(_s, _phi))(lambda spark, d, s=_s, phi=_phi, k=_k: exact_heavy_hitters(STREAMS[s](spark, d), phi, k=k))
 for _p in ("rank", "global_min", "space_saving_heap"):
-    query(f"verified_heavy_hitters_words_{_p}", _heavy("words", 0.01))(lambda spark, d, p=_p: exact_heavy_hitters(STREAMS["words"](spark, d), 0.01, policy=p, k=384))
+    query(f"verified_heavy_hitters_words_{_p}", _heavy("words", 0.01))(lambda spark, d, p=_p: exact_heavy_hitters(STREAMS["words"](spark, d), 0.01, policy=p, k=384, engine="row" if p == "global_min" else "block"))
 
 query("usage_per_user", _heavy("events", 0.0085))(lambda spark, d: exact_heavy_hitters(STREAMS["events"](spark, d), 0.0085, k=768))
 query("region_month_heavy_hitters", "WITH s AS (SELECT r_name, date_trunc('month', l_shipdate) AS month, l_suppkey AS item, CAST(round(l_extendedprice * 100) AS BIGINT) AS weight FROM lineitem JOIN supplier ON l_suppkey = s_suppkey JOIN nation ON s_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey), n AS (SELECT r_name, month, sum(weight) AS n FROM s GROUP BY ALL) SELECT r_name, CAST(month AS TIMESTAMP) AS month, item, CAST(sum(weight) AS BIGINT) AS f FROM s JOIN n USING (r_name, month) GROUP BY r_name, month, item, n HAVING sum(weight) >= 0.08 * n")(
@@ -147,7 +147,9 @@ _AUDITED = {
     "sample_median": ("words", SummarySpec("sample_quantile", 1536, seed=3)),
     "sample_q10": ("word_lengths", SummarySpec("sample_quantile", 384, q=0.1)),
     "sample_min": ("word_lengths", SummarySpec("sample_quantile", 384, q=0.0)),
-    "sampled_subset": ("words", SummarySpec("sample_quantile", 3072, sample_size=1024)),
+    "sampled_subset": ("words", SummarySpec("sample_quantile", 3072, sample_size=1024, engine="row")),
+    "sampled_few_of_many": ("planted", SummarySpec("sample_quantile", 384, seed=5)),
+    "planted_heap": ("planted", SummarySpec("space_saving_heap", 48)),
     "rank_median": ("quantities", SummarySpec("rank", 192)),
     "rank_smallest": ("quantities", SummarySpec("rank", 192, k_star=192)),
     "global_min": ("events", SummarySpec("global_min", 48, engine="row")),
@@ -168,6 +170,20 @@ for _n, (_s, _spec) in _AUDITED.items():
         query(f"audit_offset_{_n}", f"SELECT CAST(sum(weight) AS BIGINT) AS total_weight, CAST(0 AS BIGINT) AS violations FROM ({SQL[_s]})")(lambda spark, d, s=_s, spec=_spec, rank=_rank: measures.audit_offset(build_summary(STREAMS[s](spark, d), spec), rank))
 
 
+@query("bound_failures_over_seeds", f"SELECT CAST(sum(weight) AS BIGINT) AS total_weight, CAST(24 AS BIGINT) AS n_seeds, CAST(24 AS BIGINT) AS n_that_reduced, CAST(0 AS BIGINT) AS n_failed FROM ({SQL['planted']})")
+def _(spark, d):
+    """How often a sample of 64 of 256 counters breaks the practical bound (N - C) / (0.33 k), over seeds, in the order of the stream."""
+    u = STREAMS["planted"](spark, d)
+    specs = [SummarySpec("sample_quantile", 256, sample_size=64, seed=seed, engine="row") for seed in range(24)]
+    summaries = build_many(u, specs, ordered=True)
+    truth = exact_frequencies(u).select(F.col("item").alias("i"), "f")
+    seeds = summaries.select("spec", "total_weight", "counter_sum", "n_reduces")
+    errors = truth.join(F.broadcast(seeds)).join(counters(summaries, ["spec"]).select(F.col("spec").alias("s"), "item", "c"), (F.col("i") == F.col("item")) & (F.col("spec") == F.col("s")), "left")
+    worst = errors.groupBy("spec", "total_weight", "counter_sum", "n_reduces").agg(F.max(F.col("f") - F.coalesce("c", F.lit(0))).alias("worst"))
+    failed = F.col("worst") > measures.bound_drop(F.lit(measures.safe_denominator(256)))
+    return worst.agg(F.max("total_weight").alias("total_weight"), F.count("*").alias("n_seeds"), F.sum((F.col("n_reduces") > 0).cast("long")).alias("n_that_reduced"), F.sum(failed.cast("long")).alias("n_failed"))
+
+
 @query("audit_reduce_spacing", f"SELECT count(*) AS n_updates, CAST(0 AS BIGINT) AS violations FROM ({SQL['events']})")
 def _(spark, d):
     """Reduces are at least k - rank + 1 updates apart, so there are no more than n over that."""
@@ -254,11 +270,33 @@ def _(spark, d):
     return measures.audit(merge_summaries(build_summary(u, SummarySpec("sample_quantile", 768), ["lang"])), exact_frequencies(u))
 
 
-query("merge_refeed_bound", _audit("quantities", "n_items"))(lambda spark, d: measures.audit_refeed(merge_into_fresh(build_summary(STREAMS["quantities"](spark, d), SummarySpec("global_min", 192, engine="block"), ["bucket"])), exact_frequencies(STREAMS["quantities"](spark, d)), 192, [0, 1, 5, 20, 50]))
+query("merge_refeed_bound", _audit("quantities", "n_items"))(lambda spark, d: measures.audit_refeed(merge_into_fresh(build_summary(STREAMS["quantities"](spark, d), SummarySpec("global_min", 192, engine="row"), ["bucket"])), exact_frequencies(STREAMS["quantities"](spark, d)), 192, [0, 1, 5, 20, 50]))
 _LANG = f"SELECT item, CAST(sum(weight) AS BIGINT) AS c, CAST(0 AS BIGINT) AS \"offset\" FROM ({SQL['brands']}) GROUP BY item"
 query("merge_by_sort_saturated", _LANG)(lambda spark, d: merge_by_sort(build_summary(STREAMS["brands"](spark, d), SummarySpec("rank", 96), ["part"]), 96))
 query("merge_by_select_saturated", _LANG)(lambda spark, d: merge_by_select(build_summary(STREAMS["brands"](spark, d), SummarySpec("rank", 96), ["part"]), 96))
 query("merge_into_fresh_saturated", _LANG)(lambda spark, d: _state(merge_into_fresh(build_summary(STREAMS["brands"](spark, d), SummarySpec("rank", 96), ["part"]))))
+for _n, _merge in (("sort", merge_by_sort), ("select", merge_by_select)):
+    query(f"merge_by_{_n}_bounds", f"SELECT CAST(sum(weight) AS BIGINT) AS total_weight, CAST(0 AS BIGINT) AS violations FROM ({SQL['quantities']})")(lambda spark, d, merge=_merge: _merged_bounds(spark, d, merge))
+
+
+def _merged_bounds(spark: SparkSession, d: str, merge: Callable[..., DataFrame]) -> DataFrame:
+    """Of parts that are far from exact: c and c + offset enclose the weight of every tracked item, and the offset bounds all others."""
+    u = STREAMS["quantities"](spark, d)
+    parts = build_summary(u, SummarySpec("rank", 96, engine="row"), ["bucket"])
+    merged = merge(parts, 96).select(F.col("item").alias("i"), "c", "offset")
+    both = exact_frequencies(u).join(merged, F.col("item") == F.col("i"), "left").join(merged.agg(F.max("offset").alias("most")))
+    bad = (F.coalesce("c", F.lit(0)) > F.col("f")) | (F.coalesce(F.col("c") + F.col("offset"), F.col("most")) < F.col("f"))
+    return both.agg(F.sum("f").alias("total_weight"), F.sum(bad.cast("long")).alias("violations"))
+
+
+@query("merge_by_sort_error_bound", _audit("quantities", "n_items"))
+def _(spark, d):
+    """Minimum reduces merged by sorting: no error above (N - C) / (k + 1)."""
+    u = STREAMS["quantities"](spark, d)
+    parts = build_summary(u, SummarySpec("global_min", 96, engine="row"), ["bucket"])
+    return measures.audit_sort_merge(merge_by_sort(parts, 96), parts, exact_frequencies(u), 96)
+
+
 _CUT = f"WITH f AS ({_freq('brands')}), r AS (SELECT item, f, row_number() OVER (ORDER BY f DESC, item) AS p FROM f), k AS (SELECT f AS cut FROM r WHERE p = 11) SELECT item, CAST(f - cut AS BIGINT) AS c, CAST(cut AS BIGINT) AS \"offset\" FROM r, k WHERE p <= 10 AND f > cut"
 query("merge_by_sort_cut", _CUT)(lambda spark, d: merge_by_sort(build_summary(STREAMS["brands"](spark, d), SummarySpec("rank", 96), ["part"]), 10))
 query("merge_by_select_cut", _CUT)(lambda spark, d: merge_by_select(build_summary(STREAMS["brands"](spark, d), SummarySpec("rank", 96), ["part"]), 10))
@@ -268,8 +306,8 @@ query("merge_by_sort_truncating", f"WITH f AS ({_freq('brands')}) SELECT item, f
 # ---- cubes and windows --------------------------------------------------------------------------------------
 
 
-def _event_cube(spark: SparkSession, d: str, k: int = 384) -> DataFrame:
-    e = load(spark, d, "events")
+def _event_cube(spark: SparkSession, d: str, k: int = 384, events: DataFrame | None = None) -> DataFrame:
+    e = load(spark, d, "events") if events is None else events
     return cube.build_cube(e, F.col("ts"), "hour", {"event_type": F.col("event_type")}, F.col("user_id"), cents("value"), SummarySpec("rank", k))
 
 
@@ -293,7 +331,9 @@ _RANGE = "ts >= (SELECT date_trunc('hour', min(ts)) + INTERVAL 100 HOUR FROM eve
 def _(spark, d):
     """Hourly cells of a 48-hour range merged on demand, with enough counters to be exact."""
     start = load(spark, d, "events").agg(F.date_trunc("hour", F.min("ts")).alias("s")).select((F.col("s") + F.expr("interval 100 hours")).alias("start"), (F.col("s") + F.expr("interval 148 hours")).alias("stop"), F.lit(0).alias("query"))
-    chosen = cube.select_windows(_event_cube(spark, d), start)
+    # The range goes below the build: only its events are summarised.
+    within = load(spark, d, "events").join(F.broadcast(start), (F.col("ts") >= F.col("start")) & (F.col("ts") < F.col("stop")), "left_semi")
+    chosen = cube.select_windows(_event_cube(spark, d, events=within), start)
     return heavy_hitters(merge_summaries(chosen, SummarySpec("rank", 384)), 0.01).select("item", F.col("lower").alias("f"))
 
 
@@ -349,6 +389,12 @@ def _(spark, d):
     return bounds(build_summary(STREAMS["brands"](spark, d), SummarySpec("rank", 384)), items)
 
 
+@query("untracked_suppliers", "SELECT DISTINCT l_suppkey AS item FROM lineitem WHERE l_suppkey % 3 <> 0")
+def _(spark, d):
+    u = STREAMS["suppliers"](spark, d)
+    return untracked(u, build_summary(u.where("item % 3 = 0"), SummarySpec("rank", 100_000)))
+
+
 @query("untracked_items", "SELECT DISTINCT user_id AS item FROM events WHERE user_id IS NOT NULL AND round(value * 100) > 0 AND user_id NOT IN (SELECT user_id FROM events WHERE event_type = 'error' AND user_id IS NOT NULL AND round(value * 100) > 0)")
 def _(spark, d):
     u = STREAMS["events"](spark, d)

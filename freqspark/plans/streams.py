@@ -55,7 +55,14 @@ def orders_lines(spark: SparkSession, d: str) -> DataFrame:
     return to_updates(joined, "o_custkey", "n", None, F.col("o_orderkey"))
 
 
+def planted(spark: SparkSession, d: str) -> DataFrame:
+    """Orders of weight 1, but for one in 150 of weight a million: a few heavy items among very many light ones."""
+    heavy = F.when(F.pmod("o_orderkey", F.lit(150)) == 0, F.lit(1_000_000)).otherwise(1).cast("long")
+    return to_updates(load(spark, d, "orders"), "o_orderkey", heavy, None, F.col("o_orderkey"))
+
+
 SQL = {
+    "planted": "SELECT o_orderkey AS ord, o_orderkey AS item, CAST(CASE WHEN o_orderkey % 150 = 0 THEN 1000000 ELSE 1 END AS BIGINT) AS weight FROM orders",
     "events": "SELECT event_id AS ord, user_id AS item, CAST(round(value * 100) AS BIGINT) AS weight, event_type, ts FROM events WHERE user_id IS NOT NULL AND round(value * 100) > 0",
     "brands": "SELECT p_partkey AS ord, p_brand AS item, CAST(p_size AS BIGINT) AS weight, p_partkey % 2 AS part FROM part WHERE p_brand IS NOT NULL AND p_size > 0",
     "quantities": "SELECT l_partkey AS item, CAST(l_quantity AS BIGINT) AS weight, l_orderkey % 16 AS bucket, date_trunc('month', l_shipdate) AS month FROM lineitem WHERE l_partkey IS NOT NULL AND l_quantity > 0",
@@ -67,5 +74,5 @@ SQL = {
 }
 
 STREAMS: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    "events": events, "brands": brands, "quantities": quantities, "suppliers": suppliers, "words": words, "word_lengths": word_lengths, "event_types": event_types, "orders_lines": orders_lines,
+    "events": events, "brands": brands, "quantities": quantities, "suppliers": suppliers, "words": words, "word_lengths": word_lengths, "event_types": event_types, "orders_lines": orders_lines, "planted": planted,
 }

@@ -97,8 +97,6 @@ def header_of(row: dict[str, Any]) -> Header:
 def take_in(kernel: Kernel, row: dict[str, Any], items: pa.Array, counts: pa.Array, order: str = "random") -> None:
     """Merge one summary row into a kernel."""
     head = header_of(row)
-    if kernel.spec.policy.startswith(("space_saving", "unit_expand_replace")):
-        head.offset = 0  # the least counter, which is found anew
     if isinstance(kernel, BlockReduce):
         kernel.absorb_arrow(items, counts, head)
     else:

@@ -42,7 +42,7 @@ def test_query(spark, sf, duck, name):
     out = catalogue.QUERIES[name](spark, sf)
     columns = sorted(out.columns)
     rows = [tuple(r) for r in out.select(*columns).collect()]
-    assert rows
+    assert rows or name in catalogue.ORACLES
     if name in catalogue.ORACLES:
         result = duck.execute(catalogue.ORACLES[name])
         names = [c[0] for c in result.description]
