@@ -86,7 +86,7 @@ _SIGNS = re.escape("".join(IMITATES))
 _DISGUISED = re.compile(
     rf"(?<!\w)(?:{_LETTER}(?:[ .\-_*]{_LETTER}){{3,}})(?!\w)"  # s p e l l e d
     rf"|(?<![^\s])(?:[{_SIGNS}]+(?={_LETTER}{{2}}))?{_LETTER}*(?:[{_SIGNS}]+{_LETTER}+)+"  # s1gns
-    rf"|{_LETTER}*({_LETTER})\1\1+{_LETTER}*"  # drawwwn
+    rf"|(?<!{_LETTER}){_LETTER}*?({_LETTER})\1\1+{_LETTER}*"  # drawwwn; from a word's first letter only, so that long words are read once
 )
 _GAPS = " .-_*"
 _COST_SIGN, _COST_DRAWN, _COST_GAP, _KEEP_SIGN = 1.0, 0.7, 0.3, 4.0
@@ -113,11 +113,14 @@ def suspects(data: np.ndarray, at: np.ndarray) -> np.ndarray:
 
 
 class Restorer:
-    """Reads disguised spans by a Viterbi search under a language model."""
+    """Reads disguised spans by a Viterbi search under a language model, in time and memory that grow with a span's length; short ones are remembered."""
 
     def __init__(self, costs: np.ndarray):
         self.costs = costs
-        self.read = lru_cache(1 << 16)(self._read)
+        self._remembered = lru_cache(1 << 16)(self._read)
+
+    def read(self, span: str) -> str:
+        return self._remembered(span) if len(span) <= 64 else self._read(span)
 
     @staticmethod
     def _symbols(s: str) -> list[int]:
@@ -148,19 +151,29 @@ class Restorer:
         return out
 
     def _read(self, span: str) -> str:
-        states: dict[tuple[int, int], tuple[float, str]] = {(0, 0): (0.0, "")}
+        # A state keeps its cost, the state that it came from and what was read on the way.
+        states: dict[tuple[int, int], tuple[float, tuple | None, str]] = {(0, 0): (0.0, None, "")}
         for readings in [*self.lattice(span), [(" ", 0.0)]]:
-            after: dict[tuple[int, int], tuple[float, str]] = {}
-            for (a, b), (cost, made) in states.items():
+            after: dict[tuple[int, int], tuple[float, tuple | None, str]] = {}
+            for (a, b), state in states.items():
                 for reading, own in readings:
-                    total, p, q = cost + own, a, b
+                    total, p, q = state[0] + own, a, b
                     for s in self._symbols(reading):
                         total += float(self.costs[p, q, s])
                         p, q = q, s
                     if (p, q) not in after or total < after[p, q][0]:
-                        after[p, q] = (total, made + reading)
+                        after[p, q] = (total, state, reading)
             states = after
-        return min(states.values())[1].rstrip(" ")
+        least = min(state[0] for state in states.values())
+        return min(self._made(state) for state in states.values() if state[0] == least).rstrip(" ")
+
+    @staticmethod
+    def _made(state: tuple | None) -> str:
+        parts = []
+        while state is not None:
+            parts.append(state[2])
+            state = state[1]
+        return "".join(reversed(parts))
 
     def restore(self, text: str) -> str:
         """The text in lower case with its disguised spans restored."""
