@@ -208,7 +208,7 @@ def _similar(pairs: DataFrame, percent: int) -> DataFrame:
 
 
 def groups(docs: DataFrame, key: str = "doc_id", text: str = "text", width: int = WORDS, percent: int = PERCENT) -> DataFrame:
-    """key, n_shingles, component_id of every row.
+    """key, n_shingles, component_id of every row; an empty table gives none, and texts count whole, however long.
 
     component_id is the smallest key that links lead to, the row's own included; a null key counts as no
     key. Null and empty texts have no shingles and stay alone, as do repeated rows of them. Rows that

@@ -342,7 +342,7 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", folds: int = 5
 
     Weights are learned on each half of the sample to fit the logistic step on the other half's
     scores, then on the whole sample. Without both labels the score is the smoothed share of label 1.
-    Only slots of the window table, at most 2**BITS, come to the driver.
+    Only slots of the window table, at most 2**BITS, come to the driver. Texts count whole, however long.
     """
     costs = language_model(count_trigrams(docs, text))
     one_each = labelled(docs, labels, label, folds, held, most, key, text).groupBy("doc_key", "y").agg(F.min("doc_text").alias("doc_text"))
@@ -400,7 +400,11 @@ def _scorer(model: ToxicityModel):
 
 
 def score(docs: DataFrame, model: ToxicityModel, threshold: float = THRESHOLD, folds: int = 5, held: int = 0, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """key, held_out, score and predicted of every row; a null text counts as empty, a null key is not held out."""
+    """key, held_out, score and predicted of every row; a null text counts as empty, a null key is not held out.
+
+    Rows that repeat a key or a text are scored each by itself and alike, very long texts whole, and an empty
+    table gives no row.
+    """
     fields = [T.StructField(key, docs.schema[key].dataType), T.StructField("held_out", T.BooleanType()), T.StructField("score", T.DoubleType()), T.StructField("predicted", T.IntegerType())]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
