@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import random
+import zlib
 from collections.abc import Iterable, Sequence
 from dataclasses import dataclass
 from typing import Any
@@ -61,11 +62,14 @@ class Kernel:
         """Merge another summary: its counters are replayed as updates, its header is added.
 
         The replay is in random order, as tables that share a hash function hand out their counters in the order
-        of their cells, which would crowd the front of this one; order='storage' keeps it.
+        of their cells, which would crowd the front of this one. order='storage' keeps it, order='hash_seed' takes
+        that of a hash with a seed of this table's own.
         """
         counters = list(counters)
         if order == "random":
             self.random(-1 - self.head.n_updates).shuffle(counters)
+        elif order == "hash_seed":
+            counters.sort(key=lambda p: zlib.crc32(f"{self.spec.seed}:{self.salt}:{p[0]!r}".encode()))
         self.head.add(head)
         for item, c in counters:
             self.put(item, c)

@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from ..functions import counters as cf
 from ..functions.sql import register, summary_agg
 from ..functions.text import bucket_time, json_item, tokens, url_host, url_path_prefix
-from ..operators import apps, cube, measures
+from ..operators import apps, cube, experiments, measures
 from ..operators.build import build_summary
 from ..operators.many import build_many, compare, equal_space
 from ..operators.merge import merge_by_select, merge_by_sort, merge_into_fresh, merge_pair, merge_summaries
@@ -561,6 +561,88 @@ def _(spark, d):
     return worst.groupBy("pair").pivot("method", ["replay", "sort", "select"]).agg(F.first("max_error"))
 
 
+_GRID = "(SELECT CAST(unnest([0.8, 1.05, 1.3, 1.6]) AS DOUBLE) AS alpha) a, (SELECT CAST(unnest([24, 48, 96, 192, 384]) AS INTEGER) AS k) b"
+
+
+@query("policy_experiment")
+def _(spark, d):
+    """Four policies, five sizes, ten runs and four Zipf exponents: mean times, reduces and errors, at equal counters and equal bytes."""
+    return experiments.policy_lines(spark)
+
+
+@query("policy_experiment_findings", f"SELECT alpha, k, true AS bounds_hold, true AS median_reduces_least, true AS sampled_min_cheaper, true AS heap_like_min, (alpha < 1.6 OR k < 384) AS sampled_min_like_min, (alpha < 1.6 OR k BETWEEN 48 AND 192) AS median_within_2_5, (alpha < 1.6 OR k > 24) AS median_beats_heap_bytes FROM {_GRID}")
+def _(spark, d):
+    """Which published comparisons hold at which exponent and size. At exponent 1.6 three do not hold everywhere: samples of 6
+    counters, and tables that hardly ever fill, leave the median well behind."""
+    return experiments.policy_findings(experiments.policy_lines(spark))
+
+
+@query("quantile_experiment")
+def _(spark, d):
+    """Fifty quantiles at five sizes: time, reduces and error."""
+    return experiments.quantile_lines(spark)
+
+
+@query("quantile_experiment_findings", "SELECT CAST(unnest([24, 48, 96, 192, 384]) AS INTEGER) AS k, CAST(50 AS BIGINT) AS n_quantiles, true AS bounds_hold, true AS reduces_fall, true AS median_touches_a_tenth, true AS useful_to_0_7, true AS climbs_after_0_7")
+def _(spark, d):
+    return experiments.quantile_findings(experiments.quantile_lines(spark))
+
+
+@query("merge_experiment")
+def _(spark, d):
+    """Fifty pairs of summaries at five sizes merged by replay, sorting and selecting: mean times, extra space and errors."""
+    return experiments.merge_lines(spark).groupBy("k", "method").agg(F.count("*").alias("n_pairs"), F.avg("seconds").alias("seconds"), F.avg("extra_counters").alias("extra_counters"), F.avg("max_error").alias("max_error"), F.sum("violations").alias("violations"))
+
+
+@query("merge_experiment_findings", "SELECT k, CAST(50 AS BIGINT) AS n_pairs, true AS bounds_hold, k <= 1536 AS error_within_2_5_percent, true AS least_extra_space FROM (SELECT CAST(unnest([96, 384, 1536, 6144, 12288]) AS INTEGER) AS k)")
+def _(spark, d):
+    """What the merges show. From 6144 counters on, a stream of 60,000 updates makes few reduces, and replay errs by more than 2.5 % more."""
+    return experiments.merge_findings(experiments.merge_lines(spark))
+
+
+@query("sample_failure_rate", "SELECT CAST(1024 AS INTEGER) AS sample_size, CAST(1000 AS BIGINT) AS n_seeds, CAST(0 AS BIGINT) AS failures, true AS reduced")
+def _(spark, d):
+    """Seeds of a thousand under which the published sample size missed its share of the counters."""
+    return experiments.failure_lines(spark, sample_sizes=(1_024,)).select("sample_size", "n_seeds", "failures", (F.col("n_reduces") >= F.col("n_seeds")).alias("reduced"))
+
+
+@query("sample_failure_rate_by_size")
+def _(spark, d):
+    """The same for smaller samples, which do miss it."""
+    return experiments.failure_lines(spark)
+
+
+@query("tfidf_summary_audit", f"WITH w AS (SELECT doc_id, item, count(*) AS tf FROM ({SQL['words']}) GROUP BY ALL) SELECT count(DISTINCT item) AS n_items, CAST(0 AS BIGINT) AS violations, true AS reduced FROM w")
+def _(spark, d):
+    """A summary over real weights, tf ln(D / df) of each token and document: items outside their bounds, but for rounding."""
+    docs = load(spark, d, "documents")
+    terms = apps.tf_idf(tokens(docs), docs.count())
+    u = terms.select("item", (F.col("tf") * F.ln(F.lit(float(docs.count())) / F.col("df")) + 1e-9).alias("weight"))
+    summary = build_summary(u, SummarySpec("rank", 384))
+    rows = measures.with_truth(summary, exact_frequencies(u))
+    slack = 1e-9 * F.col("total_weight")
+    bad = ((F.col("f") < F.col("lower") - slack) | (F.col("f") > F.col("upper") + slack)).cast("long")
+    return rows.agg(F.count("*").alias("n_items"), F.sum(bad).alias("violations"), (F.max("offset") > 0).alias("reduced"))
+
+
+@query("order_ranges_merge_audit", f"SELECT CAST(sum(weight) AS BIGINT) AS total_weight, count(DISTINCT item) AS items_checked, CAST(0 AS BIGINT) AS violations FROM ({SQL['quantities']})")
+def _(spark, d):
+    """Four ranges of orders, each summarised by itself, then merged as one concatenated stream."""
+    lines = load(spark, d, "lineitem").where("l_partkey IS NOT NULL AND l_quantity > 0")
+    last = lines.agg(F.max("l_orderkey").alias("last"))
+    ranges = lines.join(F.broadcast(last)).select(F.floor(F.col("l_orderkey") * 4 / (F.col("last") + 1)).cast("int").alias("range"), F.col("l_partkey").alias("item"), F.col("l_quantity").cast("long").alias("weight"))
+    merged = merge_summaries(build_summary(ranges, SummarySpec("sample_quantile", 96), ["range"]).drop("range"), levels=(1,))
+    return measures.audit(merged, exact_frequencies(ranges))
+
+
+@query("distinct_items_estimate", f"SELECT count(DISTINCT item) AS n_items, true AS within FROM ({SQL['words']})")
+def _(spark, d):
+    """The built-in distinct count that sizes a summary, against the exact one: within 6 %, three times its stated error."""
+    u = STREAMS["words"](spark, d)
+    rows = exact_frequencies(u).agg(F.count("*").alias("n_items"))
+    return rows.join(u.agg(F.approx_count_distinct("item", 0.02).alias("about"))).select("n_items", (F.abs(F.col("about") - F.col("n_items")) <= 0.06 * F.col("n_items")).alias("within"))
+
+
 def flagship(spark: SparkSession, d: str) -> DataFrame:
     """Verified heavy hitters of the words of all documents."""
     return QUERIES["verified_heavy_hitters_words"](spark, d)

@@ -175,3 +175,23 @@ def test_blocks_keep_heavy_items_among_very_many_light_ones(q):
         assert worst * rank <= lost
         if rank > 100:
             assert all(i in held for i in range(100))
+
+
+def test_replay_orders_hold_the_bound():
+    """Storage, random and seeded hash order replay the same counters; the drop stays within (N - C) / rank."""
+    spec = SummarySpec("rank", 16, engine="row")
+    stream = [(i * 7919 % 61, 1 + i * 31 % 17) for i in range(900)]
+    truth = {}
+    for i, w in stream:
+        truth[i] = truth.get(i, 0) + w
+    tables = {}
+    for order in ("storage", "random", "hash_seed"):
+        a, b = make_kernel(spec, 0), make_kernel(spec, 1)
+        a.feed(*zip(*stream[:450], strict=True))
+        b.feed(*zip(*stream[450:], strict=True))
+        a.absorb(b.counters(), b.head, order)
+        held = dict(a.counters())
+        drop = (a.head.total_weight - sum(held.values())) / spec.rank
+        assert all(0 <= f - held.get(i, 0) <= min(drop, a.head.offset) for i, f in truth.items())
+        tables[order] = held
+    assert len(tables) == 3

@@ -11,7 +11,7 @@ import pytest
 from pyspark.sql import functions as F
 
 import __spark_entry__ as registry
-from freqspark.operators import cube, measures
+from freqspark.operators import cube, experiments, measures
 from freqspark.operators.build import build_summary
 from freqspark.operators.merge import merge_pair
 from freqspark.operators.query import counters, exact_heavy_hitters, heavy_hitters
@@ -177,3 +177,15 @@ def test_quality_of_heavy_hitters(spark, sf):
     row = measures.heavy_hitter_quality(heavy_hitters(build_summary(u, k=1536), 0.01), truth, 0.01).first()
     assert row["recall"] == 1.0 and 0 < row["precision"] <= 1.0
     assert measures.max_error(build_summary(u, k=1536), truth).first()[0] >= 0
+
+
+def test_failures_of_samples_vanish_as_they_grow(spark):
+    rows = {r.sample_size: r for r in experiments.failure_lines(spark, seeds=100, sample_sizes=(4, 64, 1_024)).collect()}
+    assert all(r.n_seeds == 100 and r.n_reduces >= 100 for r in rows.values())
+    assert rows[4].failures > rows[64].failures >= rows[1_024].failures == 0
+
+
+def test_experiments_report_their_runs(spark):
+    lines = experiments.policy_lines(spark, 2_000, 1_000, 2, (1.05,), (24, 48)).collect()
+    assert len(lines) == 10 and all(r.n_runs == 2 and r.violations == 0 and r.seconds > 0 for r in lines)
+    assert len({(r.policy, r.q, r.k, r.base_k) for r in lines}) == 10
