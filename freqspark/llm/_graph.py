@@ -68,8 +68,10 @@ def similar_groups(members: DataFrame, verify: Callable[[DataFrame], DataFrame],
     its commonest component are paired with the others, in rounds over ever more partners. The last round
     takes all, which is exact, as two nodes of one component need no further link.
     """
-    shared = members.groupBy("bucket").agg(F.min("node").alias("low"), F.max("node").alias("high")).where("low <> high").select(F.col("bucket").alias("own"))
-    held = cut(members.join(shared, F.col("bucket") == F.col("own")).select("bucket", "node", "info").distinct())
+    # Members are dealt by bucket once, for both sides; the second side reads the same columns, so that the exchange is used again.
+    dealt = members.repartition("bucket")
+    shared = dealt.groupBy("bucket").agg(F.min("node").alias("low"), F.max("node").alias("high"), F.max("info").alias("top")).where("low <> high and top >= 0").select(F.col("bucket").alias("own"))
+    held = cut(dealt.join(shared.hint("merge"), F.col("bucket") == F.col("own")).select("bucket", "node", "info").distinct())
     # Nothing that stands before a set's first bucket of several nodes is shared.
     of = held.groupBy("node").agg(F.count("*").alias("degree"), F.shiftright(F.min("info"), 3).alias("start"))
     of = of.join(sizes.select(F.col("node").alias("t"), "n"), F.col("node") == F.col("t")).drop("t") if sizes is not None else of.withColumn("n", F.lit(1))

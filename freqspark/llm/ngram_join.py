@@ -31,6 +31,8 @@ WORDS, PERCENT = 5, 75
 COUNT_BITS, PART_BITS = 22, 6
 #: Pairs and keys that verification broadcasts at most; more go through shuffled joins.
 BROADCAST_ROWS = 300_000
+#: Sets that a task remembers, so as to send members of repeated ones once; later repeats go as rows that are dropped after the shuffle.
+SEEN_SETS = 10_000
 #: The longest prefix extension that is tried, and the cost of verifying a candidate against reading a posting.
 MOST_MATCHES, VERIFY_COST = 4, 8.0
 
@@ -93,11 +95,11 @@ def fingerprints(hashes: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.nda
     return out[0], out[1]
 
 
-_FACTS = T.StructType([T.StructField("key", T.LongType()), T.StructField("n", T.LongType()), T.StructField("node", T.LongType()), T.StructField("check", T.LongType()), T.StructField("part", T.IntegerType()), T.StructField("counts", T.BinaryType())])
+_FACTS = T.StructType([T.StructField("key", T.LongType()), T.StructField("n", T.LongType()), T.StructField("node", T.LongType()), T.StructField("check", T.LongType()), T.StructField("th", T.LongType()), T.StructField("part", T.IntegerType()), T.StructField("counts", T.BinaryType())])
 
 
 def facts(docs: DataFrame, width: int) -> DataFrame:
-    """One pass over all texts: a row for each with its set's size and node, and the parts of each task's table of shingle counts."""
+    """One pass over all texts (key, text, th): a row for each with its set's size and node, and the parts of each task's table of shingle counts."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros(1 << COUNT_BITS, np.uint32)
@@ -108,12 +110,12 @@ def facts(docs: DataFrame, width: int) -> DataFrame:
                 total += np.bincount((hashes >> np.uint64(64 - COUNT_BITS)).astype(np.int64), minlength=len(total)).astype(np.uint32)
                 node, check = fingerprints(hashes, begin)
                 k = hi - lo
-                cols = [batch.column(0).slice(lo, k), pa.array(np.diff(begin).astype(np.int64)), pa.array(node), pa.array(check), blank(k, pa.int32()), blank(k, pa.binary())]
+                cols = [batch.column(0).slice(lo, k), pa.array(np.diff(begin).astype(np.int64)), pa.array(node), pa.array(check), batch.column(2).slice(lo, k), blank(k, pa.int32()), blank(k, pa.binary())]
                 yield pa.RecordBatch.from_arrays(cols, _FACTS.names)
         if total.any():
             parts = [zstandard.compress(p.astype("<u4").tobytes(), 1) for p in np.split(total, 1 << PART_BITS)]
             k = len(parts)
-            yield pa.RecordBatch.from_arrays([blank(k, pa.int64())] * 4 + [pa.array(np.arange(k, dtype=np.int32)), pa.array(parts, pa.binary())], _FACTS.names)
+            yield pa.RecordBatch.from_arrays([blank(k, pa.int64())] * 5 + [pa.array(np.arange(k, dtype=np.int32)), pa.array(parts, pa.binary())], _FACTS.names)
 
     return docs.mapInArrow(run, _FACTS)
 
@@ -146,6 +148,7 @@ def prefixes(docs: DataFrame, classes: np.ndarray, width: int, percent: int) ->
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         cost = np.maximum(2.0 ** (np.arange(256) / 8) - noise, 1.0)
+        seen = np.zeros(0, np.int64)
         for batch in batches:
             for _, _, data, at in blocks(text_column(batch.column(0))):
                 hashes, begin = shingle_sets(data, at, width)
@@ -167,36 +170,44 @@ def prefixes(docs: DataFrame, classes: np.ndarray, width: int, percent: int) ->
                     price = spent + VERIFY_COST * spent / matches**2
                     better = long_enough & (price < best)
                     best[better], need[better] = price[better], matches
-                take = place < (base + need)[rows]
+                # Texts with the set of one before them in this task add no members.
+                fresh = np.zeros(len(node), bool)
+                fresh[np.unique(node, return_index=True)[1]] = True
+                fresh &= ~np.isin(node, seen)
+                seen = np.concatenate([node[fresh], seen])[:SEEN_SETS]
+                take = (place < (base + need)[rows]) & fresh[rows]
                 yield pa.RecordBatch.from_arrays([pa.array(hashes[take].view(np.int64)), pa.array(node[rows[take]]), pa.array((8 * place + need[rows])[take].astype(np.int32))], schema.names)
 
     return docs.mapInArrow(run, schema)
 
 
-def _sets(docs: DataFrame, width: int) -> DataFrame:
-    """node, hashes: the sets of texts."""
-    schema = T.StructType([T.StructField("node", T.LongType()), T.StructField("hashes", T.BinaryType())])
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for _, _, data, at in blocks(text_column(batch.column(1))):
-                hashes, begin = shingle_sets(data, at, width)
-                parts = [hashes[a:b].tobytes() for a, b in zip(begin[:-1], begin[1:], strict=True)]
-                yield pa.RecordBatch.from_arrays([pa.array(fingerprints(hashes, begin)[0]), pa.array(parts, pa.binary())], schema.names)
+def _each_set(texts: pa.Array, width: int) -> list[np.ndarray]:
+    """The set of each text."""
+    out = []
+    for _, _, data, at in blocks(text_column(texts)):
+        hashes, begin = shingle_sets(data, at, width)
+        out += np.split(hashes, begin[1:-1])
+    return out
 
-    return docs.mapInArrow(run, schema)
 
+def _similar(pairs: DataFrame, width: int, percent: int) -> DataFrame:
+    """a, b of the pairs whose texts x and y have sets that are similar enough, by exact integers.
 
-def _similar(pairs: DataFrame, percent: int) -> DataFrame:
-    """a, b of the pairs whose sets x and y are similar enough, by exact integers."""
+    Texts come, not sets: they are shorter, and rows of one a come behind one another, so its set is made once a batch.
+    """
     schema = T.StructType([T.StructField("a", T.LongType()), T.StructField("b", T.LongType())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            x, y = batch.column(2), batch.column(3)
-            keep = np.zeros(batch.num_rows, bool)
-            for i in range(batch.num_rows):
-                u, v = np.frombuffer(x[i].as_buffer(), np.uint64), np.frombuffer(y[i].as_buffer(), np.uint64)
+            if not batch.num_rows:
+                continue
+            a = batch.column(0).to_numpy()
+            lead = np.ones(len(a), bool)
+            lead[1:] = a[1:] != a[:-1]
+            first, ys = _each_set(batch.column(2).take(pa.array(np.flatnonzero(lead))), width), _each_set(batch.column(3), width)
+            keep = np.zeros(len(a), bool)
+            for i, (of, v) in enumerate(zip((np.cumsum(lead) - 1).tolist(), ys, strict=True)):
+                u = first[of]
                 if 100 * min(len(u), len(v)) >= percent * max(len(u), len(v)):
                     merged = np.concatenate([u, v])
                     merged.sort()
@@ -214,28 +225,27 @@ def groups(docs: DataFrame, key: str = "doc_id", text: str = "text", width: int
     key. Null and empty texts have no shingles and stay alone, as do repeated rows of them. Rows that
     repeat a text are linked, as their sets are equal. A key may have several rows: each has its own component.
     """
-    own = docs.select(F.col(key).cast("long").alias("key"), F.col(text).alias("text"))
+    own = docs.select(F.col(key).cast("long").alias("key"), F.col(text).alias("text"), F.xxhash64(text).alias("th"))
     found = cut(facts(own, width))
     classes = rarity(found.where("part is not null").select("part", "counts"))
-    rows = found.where("part is null").select("key", "n", "node", "check")
-    nodes = cut(rows.where("n > 0").groupBy("node").agg(F.min("key").alias("first"), F.max("n").alias("n"), F.min("check").alias("c"), F.max("check").alias("d")))
+    rows = found.where("part is null").select("key", "n", "node", "check", "th")
+    nodes = cut(rows.where("n > 0").groupBy("node").agg(F.min("key").alias("first"), F.max("n").alias("n"), F.min("check").alias("c"), F.max("check").alias("d"), F.min(F.struct(F.col("key").isNull().alias("none"), "key", "th")).alias("one")))
     if nodes.where("c <> d").limit(1).count():
         raise ValueError("two different sets share a 64-bit fingerprint")
 
     def verify(pairs: DataFrame) -> DataFrame:
-        """Pairs of similar nodes; sets are made again, from one text of each node that is in a pair."""
+        """Pairs of similar nodes, by one text of each."""
         pairs = cut(pairs)
 
-        def sets(side: str) -> DataFrame:
-            """node, hashes of the nodes on one side of the pairs; repeated rows repeat them, which links don't mind."""
-            firsts = nodes.join(pairs.select(F.col(side).alias("node")).distinct(), "node").select(F.col("first").alias("k")).distinct()
-            return _sets(own.join(bounded(firsts, BROADCAST_ROWS), F.col("key").eqNullSafe(F.col("k")), "left_semi"), width)
+        def texts_of(side: str) -> DataFrame:
+            """node, text of the nodes on one side of the pairs; repeated rows repeat them, which links don't mind."""
+            ones = nodes.join(pairs.select(F.col(side).alias("node")).distinct(), "node").select("node", F.col("one.key").alias("k"), F.col("one.th").alias("h"))
+            return own.join(bounded(ones, BROADCAST_ROWS), F.col("key").eqNullSafe(F.col("k")) & (F.col("th") == F.col("h"))).select("node", "text")
 
-        # One set a pair is sent to the other side's: b has one partner mostly, a is the partner of many.
-        y = sets("b").join(bounded(pairs, BROADCAST_ROWS), F.col("node") == F.col("b")).select("a", "b", F.col("hashes").alias("y"))
-        x = sets("a").select(F.col("node").alias("a"), F.col("hashes").alias("x"))
-        wanted = bounded(pairs.select("a").distinct(), BROADCAST_ROWS)
-        return _similar(y.join(x.join(wanted, "a", "left_semi"), "a"), percent)
+        # One text a pair is sent to the other side's: b has one partner mostly, a is the partner of many.
+        y = texts_of("b").join(bounded(pairs, BROADCAST_ROWS), F.col("node") == F.col("b")).select("a", "b", F.col("text").alias("y"))
+        x = texts_of("a").select(F.col("node").alias("a"), F.col("text").alias("x"))
+        return _similar(y.join(x, "a"), width, percent)
 
     texts = own.select("text")
     made = prefixes(texts, classes, width, percent)
