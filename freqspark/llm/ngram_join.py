@@ -5,7 +5,8 @@ all texts, rare ones first, by counts over the whole corpus in a table of fixed
 has to be the same for all texts for the result to be right. Two sets that are similar enough share at
 least l shingles of their prefixes of length |S| - ceil(t |S|) + l, for every l. Each text takes the l
 whose cost is least: reading the postings of its prefix, and verifying the candidates that share l of
-them. A pair is a candidate when it shares the lesser l of the two. The sizes of a
+them. In the round that looks for likely links a pair is a candidate when it shares the lesser l of
+the two; the last round, which finds what is left, takes every pair that shares one. The sizes of a
 pair bound how late its first shared shingle may stand in each, and the last one that it shares tells how
 many it misses before. Texts with equal sets are one
 node; only one pair for each node, and pairs across groups that are still apart, are verified.
