@@ -219,13 +219,8 @@ def _similar(pairs: DataFrame, width: int, percent: int) -> DataFrame:
     return pairs.select("a", "b", "x", "y").mapInArrow(run, schema)
 
 
-def groups(docs: DataFrame, key: str = "doc_id", text: str = "text", width: int = WORDS, percent: int = PERCENT) -> DataFrame:
-    """key, n_shingles, component_id of every row; an empty table gives none, and texts count whole, however long.
-
-    component_id is the smallest key that links lead to, the row's own included; a null key counts as no
-    key. Null and empty texts have no shingles and stay alone, as do repeated rows of them. Rows that
-    repeat a text are linked, as their sets are equal. A key may have several rows: each has its own component.
-    """
+def _grouped(docs: DataFrame, key: str, text: str, width: int, percent: int) -> DataFrame:
+    """key, th (a hash of the text), n, component of every row."""
     own = docs.select(F.col(key).cast("long").alias("key"), F.col(text).alias("text"), F.xxhash64(text).alias("th"))
     found = cut(facts(own, width))
     classes = rarity(found.where("part is not null").select("part", "counts"))
@@ -254,18 +249,30 @@ def groups(docs: DataFrame, key: str = "doc_id", text: str = "text", width: int
     named = nodes.join(roots.withColumnRenamed("node", "k"), F.col("node") == F.col("k"), "left").select("node", "first", F.coalesce("root", "node").alias("root"))
     least = named.groupBy("root").agg(F.min("first").alias("component")).withColumnRenamed("root", "r")
     of_node = named.join(least, F.col("root") == F.col("r")).select(F.col("node").alias("k"), "component")
-    joined = rows.where("n > 0").join(of_node, F.col("node") == F.col("k"), "left").select("key", "n", "component")
-    alone = rows.where("n = 0").select("key", "n", F.col("key").alias("component"))
-    return joined.unionByName(alone).select(F.col("key").alias(key), F.col("n").alias("n_shingles"), F.col("component").alias("component_id"))
+    joined = rows.where("n > 0").join(of_node, F.col("node") == F.col("k"), "left").select("key", "th", "n", "component")
+    alone = rows.where("n = 0").select("key", "th", "n", F.col("key").alias("component"))
+    return joined.unionByName(alone)
+
+
+def groups(docs: DataFrame, key: str = "doc_id", text: str = "text", width: int = WORDS, percent: int = PERCENT) -> DataFrame:
+    """key, n_shingles, component_id of every row; an empty table gives none, and texts count whole, however long.
+
+    component_id is the smallest key that links lead to, the row's own included; a null key counts as no
+    key. Null and empty texts have no shingles and stay alone, as do repeated rows of them. Rows that
+    repeat a text are linked, as their sets are equal. A key may have several rows: each has its own component.
+    """
+    return _grouped(docs, key, text, width, percent).select(F.col("key").alias(key), F.col("n").alias("n_shingles"), F.col("component").alias("component_id"))
 
 
-def keep_one(docs: DataFrame, key: str = "doc_id", text: str = "text", **options) -> DataFrame:
+def keep_one(docs: DataFrame, key: str = "doc_id", text: str = "text", width: int = WORDS, percent: int = PERCENT) -> DataFrame:
     """The rows, with all their columns, that stay: of each group those with its smallest key, and all rows without shingles.
 
-    Rows that repeat the smallest key stay together; rows with a null key stay.
+    Rows that repeat the smallest key stay together; rows with a null key stay. Of rows that share a key, only
+    those whose own text has a partner with a smaller key go.
     """
-    gone = groups(docs, key, text, **options).where(F.col("component_id") < F.col(key)).select(F.col(key).alias("_gone")).distinct()
-    return docs.join(gone, F.col(key) == F.col("_gone"), "left_anti")
+    copies = _grouped(docs, key, text, width, percent).where("component < key")
+    gone = copies.select(F.col("key").alias("_gone"), F.col("th").alias("_gone_th")).distinct()
+    return docs.join(gone, (F.col(key) == F.col("_gone")) & (F.xxhash64(text) == F.col("_gone_th")), "left_anti")
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

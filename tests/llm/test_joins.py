@@ -139,6 +139,13 @@ def test_one_of_each_group_stays(spark):
     assert ngram_join.groups(frame.limit(0)).collect() == []
 
 
+def test_rows_that_share_a_key_go_by_their_own_texts(spark):
+    text = [" ".join(f"{name}{i}" for i in range(40)) for name in "abc"]
+    rows = [(1, text[0]), (2, text[0]), (2, text[1]), (3, text[1]), (3, None), (4, text[2]), (4, text[2])]
+    kept = ngram_join.keep_one(spark.createDataFrame(rows, "doc_id long, text string"))
+    assert sorted(map(tuple, kept.collect()), key=str) == sorted([(1, text[0]), (2, text[1]), (3, None), (4, text[2]), (4, text[2])], key=str)
+
+
 def test_components(spark):
     edges = [(i, i + 1) for i in range(0, 40)] + [(100, 101), (101, 100), (102, 101), (7, 7)] + [(200, i) for i in range(201, 230)]
     rnd = random.Random(2)
