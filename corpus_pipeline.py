@@ -38,7 +38,7 @@ def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 STAGES = [("toxicity", drop_toxic), ("line_dedup", drop_lines), ("ngram_jaccard_join", drop_copies), ("benchmark_decontamination", drop_leaks), ("byte_bpe", encode)]
 
-#: Scores and SimHashes are beyond SQL; tests hold run() against a brute-force version.
+#: Scores and edit similarities in groups are beyond SQL; tests hold run() against a brute-force version.
 ORACLE_SQL = None
 
 
