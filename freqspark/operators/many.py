@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -16,16 +17,20 @@ from .build import _feed
 from .measures import with_truth
 from .merge import merge_summaries
 
+#: Tasks at most that each take a whole ordered stream for their share of the specs.
+ORDERED_SHARES = 16
+
 
 def build_many(updates: DataFrame, specs: list[SummarySpec], levels: tuple[int, ...] = (16, 1), ordered: bool = False) -> DataFrame:
     """One summary for each spec, in a column `spec` of their places in the list, from a single scan.
 
-    With ordered the rows meet in one task in the order of ord.
+    With ordered the rows meet in the order of ord, in one task for each share of the specs.
     """
     item, weight = updates.schema["item"].dataType, updates.schema["weight"].dataType
     schema = summary_schema(item, weight, [T.StructField("spec", T.IntegerType())])
     arrow = arrow_schema(schema)
-    frame = updates.repartition(1).sortWithinPartitions("ord") if ordered else updates
+    if ordered:
+        return _ordered(updates, specs, schema)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
@@ -40,8 +45,35 @@ def build_many(updates: DataFrame, specs: list[SummarySpec], levels: tuple[int,
         if fed:
             yield to_batch([((i,), k) for i, k in enumerate(kernels)], arrow)
 
-    parts = frame.select("item", "weight").mapInArrow(run, schema)
-    return parts if ordered else merge_summaries(parts, by=["spec"], levels=levels)
+    return merge_summaries(updates.select("item", "weight").mapInArrow(run, schema), by=["spec"], levels=levels)
+
+
+def _ordered(updates: DataFrame, specs: list[SummarySpec], schema: T.StructType) -> DataFrame:
+    """Each share of the specs takes all updates in their order in a task of its own: an order leaves nothing else to divide."""
+    shares = min(len(specs), ORDERED_SHARES)
+    arrow = arrow_schema(schema)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        share, kernels = None, {}
+        for batch in batches:
+            own = batch.column(0)
+            ends = [0, *(np.flatnonzero(np.diff(own.to_numpy())) + 1).tolist(), len(own)]
+            for lo, hi in zip(ends, ends[1:], strict=False):
+                if lo == hi:
+                    continue
+                if own[lo].as_py() != share:
+                    if kernels:
+                        yield to_batch([((i,), k) for i, k in kernels.items()], arrow)
+                    share = own[lo].as_py()
+                    kernels = {i: make_kernel(specs[i], 0) for i in range(share, len(specs), shares)}
+                for kernel in kernels.values():
+                    _feed(kernel, batch.column(1).slice(lo, hi - lo), batch.column(2).slice(lo, hi - lo))
+        if kernels:
+            yield to_batch([((i,), k) for i, k in kernels.items()], arrow)
+
+    each = updates.select(F.explode(F.array(*map(F.lit, range(shares)))).alias("share"), "item", "weight", "ord")
+    # One share a partition: the partition's number is the share.
+    return each.repartitionById(shares, F.col("share")).sortWithinPartitions("share", "ord").select("share", "item", "weight").mapInArrow(run, schema)
 
 
 def compare(updates: DataFrame, specs: list[SummarySpec], truth: DataFrame, ordered: bool = False) -> DataFrame:

@@ -195,3 +195,24 @@ def test_replay_orders_hold_the_bound():
         assert all(0 <= f - held.get(i, 0) <= min(drop, a.head.offset) for i, f in truth.items())
         tables[order] = held
     assert len(tables) == 3
+
+
+@pytest.mark.parametrize("spec", [SummarySpec("global_min", 7, engine="row"), SummarySpec("sample_quantile", 7, q=0.0, engine="row"), SummarySpec("sample_quantile", 7, q=0.0, clamp=True, engine="row")])
+def test_least_counter_is_found_without_a_scan(spec):
+    """The fed batches leave the counters, order and costs that one update after the other leaves, and a reduce scans no table."""
+    rnd = random.Random(3)
+    items, weights = [rnd.randrange(40) for _ in range(3_000)], [rnd.randint(1, 9) for _ in range(3_000)]
+    fed, put = make_kernel(spec), make_kernel(spec)
+    for lo in range(0, 3_000, 700):
+        fed.feed(items[lo : lo + 700], weights[lo : lo + 700])
+    for item, weight in zip(items, weights, strict=True):
+        put.put(item, weight)
+    assert list(fed.counters()) == list(put.counters())
+    assert (fed.head.offset, fed.head.n_reduces, fed.head.counters_touched) == (put.head.offset, put.head.n_reduces, put.head.counters_touched)
+    assert fed.head.n_reduces > 100 and fed.head.total_weight == sum(weights)
+    seen = make_kernel(spec)
+    type(seen).subtract, kept = (lambda self, cut: pytest.fail("a reduce went over the whole table")), type(seen).subtract
+    try:
+        seen.feed(items, weights)
+    finally:
+        type(seen).subtract = kept
