@@ -7,10 +7,12 @@ import subprocess
 import sys
 
 import duckdb
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
 import __spark_entry__ as registry
+from freqspark.kernels import make_kernel
 from freqspark.operators import cube, experiments, measures
 from freqspark.operators.build import build_summary
 from freqspark.operators.many import build_many
@@ -197,6 +199,59 @@ def test_experiments_read_given_tables(spark, sf, name):
     assert any(path.startswith(f"file://{sf}/") for path in catalogue.QUERIES[name](spark, sf).inputFiles())
 
 
+def _of_whole_tables(rows, specs):
+    """(by, run, policy, q, k): reduces, counters touched, offset and largest error, from each stream as one table."""
+    out = {}
+    for by, run in {r[:2] for r in rows}:
+        own = sorted((r[2:] for r in rows if r[:2] == (by, run)), key=lambda r: (r[0], r[1], r[2], r[3]))
+        numbers, truth = {}, {}
+        items, weights = [numbers.setdefault(r[2], len(numbers)) for r in own], [r[3] for r in own]
+        for item, weight in zip(items, weights, strict=True):
+            truth[item] = truth.get(item, 0) + weight
+        for _, spec in specs(run):
+            kernel = make_kernel(spec, run)
+            kernel.feed(items, weights)
+            kernel.finish()
+            held = dict(kernel.counters())
+            heap = spec.policy == "space_saving_heap"
+            error = max(abs(f - held[i]) if heap and i in held else f if heap else f - held.get(i, 0) for i, f in truth.items())
+            out[by, run, spec.policy, spec.q, spec.k] = (kernel.head.n_reduces, kernel.head.counters_touched, kernel.head.offset, error)
+    return out
+
+
+def _said(n=6_000):
+    """by, run, ord, pos, item, weight in no order: some ords come twice, many items once."""
+    rows = [("ab"[i % 5 == 0], i % 2, i // 7 % 400, i * 13 % 11, f"w{i * i * 7_919 % 1_013 % (i % 97 + 1)}", i % 9 + 1) for i in range(n)]
+    return rows, "by string, run int, ord long, pos int, item string, weight long"
+
+
+def test_streams_that_come_in_slices_give_the_lines_of_whole_ones(spark, monkeypatch):
+    rows, schema = _said()
+    specs = lambda run: experiments.compared_specs((8, 24))
+    fed = []
+    for key, part in experiments.slices(pa.Table.from_pylist([dict(zip(("by", "run", "ord", "pos", "item", "weight"), r, strict=True)) for r in sorted(rows)]).to_batches(100), ["by", "run"], 500):
+        assert part.num_rows < 1_000
+        fed += [(*key, *r.values()) for r in part.select(["ord", "pos", "item", "weight"]).to_pylist()]
+    assert fed == sorted(rows)
+    lines = experiments.run_specs(spark.createDataFrame(rows[::-1], schema), specs, "by").collect()
+    found = {(r.by, r.run, r.policy, r.q, r.k): (r.n_reduces, r.counters_touched, r.offset, r.max_error) for r in lines}
+    assert found == _of_whole_tables(rows, specs) and all(r.violations == 0 for r in lines)
+
+
+def test_a_stream_is_shuffled_once_for_all_quantiles(spark):
+    rows, schema = _said()
+    rows = [(r[0], 0, *r[2:]) for r in rows]
+    stream = spark.createDataFrame(rows[::-1], schema).drop("run")
+    lines = experiments.quantile_lines(stream, 20, (8, 24), "by")
+    found = {(r.by, r.q, r.k): (r.n_reduces, r.counters_touched, r.offset, r.max_error) for r in lines.collect()}
+    specs = lambda run: [(k, SummarySpec("sample_quantile", k, q=i / 20, engine="row")) for k in (8, 24) for i in range(20)]
+    assert found == {(by, q, k): line for (by, _, _, q, k), line in _of_whole_tables(rows, specs).items()}
+    plan = lines._jdf.queryExecution().executedPlan().toString()
+    above = plan[: plan.index("CartesianProduct")]
+    assert "Exchange" not in above and plan.count("Exchange") <= 4
+    assert experiments.packed(stream, "by").count() <= 2 * 4 * (1 + len(rows) // experiments.PACKED_ROWS)
+
+
 def test_ordered_summaries_of_many_specs_are_those_of_each(spark, sf):
     u = catalogue.STREAMS["events"](spark, sf)
     specs = [SummarySpec(p, k, q=0.0, engine="row") for k in (5, 9) for p in ("global_min", "sample_quantile", "space_saving_heap")]
