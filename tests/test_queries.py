@@ -19,7 +19,7 @@ from freqspark.operators.many import build_many
 from freqspark.operators.merge import merge_pair
 from freqspark.operators.query import counters, exact_heavy_hitters, heavy_hitters
 from freqspark.operators.relational import exact_frequencies
-from freqspark.plans import catalogue
+from freqspark.plans import catalogue, streams
 from freqspark.sources.tables import load, read_updates, stream_updates, write_updates
 from freqspark.sources.updates import clean_updates, to_updates
 from freqspark.spec import SummarySpec
@@ -238,6 +238,15 @@ def test_streams_that_come_in_slices_give_the_lines_of_whole_ones(spark, monkeyp
     assert found == _of_whole_tables(rows, specs) and all(r.violations == 0 for r in lines)
 
 
+def test_documents_are_dealt_before_they_are_cut_into_words(spark, sf):
+    plan = catalogue.QUERIES["policy_experiment"](spark, sf)._jdf.queryExecution().executedPlan().toString()
+    fed = plan[plan.index("MapInArrow") :]
+    assert fed.count("Exchange") == 1 and fed.index("Generate") < fed.index("Exchange") and "FlatMapGroups" not in plan
+    of = lambda rows: sorted(map(tuple, rows.collect()))
+    assert of(streams.runs_of_words(spark, sf, dealt=True)) == of(streams.runs_of_words(spark, sf))
+    assert of(streams.said_words(spark, sf, dealt=True)) == of(streams.said_words(spark, sf))
+
+
 def test_a_stream_is_shuffled_once_for_all_quantiles(spark):
     rows, schema = _said()
     rows = [(r[0], 0, *r[2:]) for r in rows]
