@@ -258,6 +258,8 @@ def test_a_stream_is_shuffled_once_for_all_quantiles(spark):
     plan = lines._jdf.queryExecution().executedPlan().toString()
     above = plan[: plan.index("CartesianProduct")]
     assert "Exchange" not in above and plan.count("Exchange") <= 4
+    below = plan[plan.index("CartesianProduct") :]
+    assert below.index("Exchange") < below.index("Range (")
     assert experiments.packed(stream, "by").count() <= 2 * 4 * (1 + len(rows) // experiments.PACKED_ROWS)
 
 
